@@ -26,6 +26,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
@@ -267,21 +268,22 @@ def encode(docs: DataFrame, vocabulary: str, pattern: str, *, digests: bool = Fa
     kinds = [T.LongType(), *([T.StringType()] * 2 if digests else [T.ArrayType(T.IntegerType(), False)])]
     schema = T.StructType([docs.schema[c] for c in kept] + [T.StructField(n, k) for n, k in zip(names, kinds, strict=True)])
 
+    at = {c: k for k, c in enumerate(docs.columns)}
+
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = encoder(vocabulary, pattern)
         for batch in batches:
-            column = batch.column(docs.columns.index("text"))
-            sizes = pa.compute.fill_null(pa.compute.binary_length(column), 0).to_numpy(zero_copy_only=False)
+            sizes = pc.fill_null(pc.binary_length(batch.column(at["text"])), 0).to_numpy(zero_copy_only=False)
             for a, b in runs(sizes, BATCH_CHARS):
                 part = batch.slice(a, b - a)
-                ids = bpe.encode([x or "" for x in part.column(docs.columns.index("text")).to_pylist()])
+                ids = bpe.encode([x or "" for x in part.column(at["text"]).to_pylist()])
                 counts = np.array([len(x) // 4 for x in ids], np.int64)
                 if digests:
                     made = [pa.array([hashlib.sha256(x).hexdigest() for x in ids]), pa.array([hashlib.sha256(bpe.decode(x)).hexdigest() for x in ids])]
                 else:
                     flat = np.frombuffer(b"".join(ids), "<u4").astype(np.int32)
                     made = [pa.ListArray.from_arrays(pa.array(np.concatenate([[0], counts.cumsum()]).astype(np.int32)), pa.array(flat))]
-                yield pa.RecordBatch.from_arrays([*(part.column(docs.columns.index(c)) for c in kept), pa.array(counts), *made], names=[*kept, *names])
+                yield pa.RecordBatch.from_arrays([*(part.column(at[c]) for c in kept), pa.array(counts), *made], names=[*kept, *names])
 
     return docs.mapInArrow(work, schema)
 

@@ -30,6 +30,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
@@ -232,7 +233,7 @@ def write_shards(docs: DataFrame, path: str, folder: str, *, end_id: int = END_I
             return row
 
         for batch in batches:
-            sizes = pa.compute.fill_null(pa.compute.binary_length(batch.column(1)), 0).to_numpy(zero_copy_only=False)
+            sizes = pc.fill_null(pc.binary_length(batch.column(1)), 0).to_numpy(zero_copy_only=False)
             for a, b in runs(sizes, BATCH_CHARS):
                 piece = batch.slice(a, b - a)
                 for d, x in zip(piece.column(0).to_pylist(), tok.encode([t or "" for t in piece.column(1).to_pylist()]), strict=True):
