@@ -25,6 +25,7 @@ from __future__ import annotations
 import os
 import struct
 import zlib
+from array import array
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -44,7 +45,7 @@ BLOCK = 512
 SHARD = 1 << 21
 NULL_ID = -(2**63)
 END_ID = 2
-CACHE = 400_000
+CACHE = 600_000  # words, about 170 bytes each
 BATCH_CHARS = 3_000_000
 
 
@@ -67,7 +68,7 @@ class WaveletMatrix:
             ones = np.bitwise_count(padded.view(np.uint64)).reshape(-1, BLOCK // 64).sum(1)
             ranks.append(np.concatenate([[0], ones.cumsum()]).astype(np.uint32))
             planes.append(padded)
-            low, high = ids[~bit], ids[bit]
+            low, high = np.compress(~bit, ids), np.compress(bit, ids)
             zeros.append(len(low))
             ids = np.concatenate([low, high])
         return cls(n, zeros, planes, ranks)
@@ -146,8 +147,8 @@ class WaveletMatrix:
         for level in range(depth - 1, -1, -1):
             bit = np.unpackbits(self.planes[level], count=self.n, bitorder="little").view(bool)
             z, up = self.zeros[level], np.empty_like(out)
-            up[~bit] = out[:z]
-            up[bit] = out[z:] | out.dtype.type(1 << (depth - 1 - level))
+            np.place(up, ~bit, out[:z])
+            np.place(up, bit, out[z:] | out.dtype.type(1 << (depth - 1 - level)))
             out = up
         return out
 
@@ -183,8 +184,12 @@ def from_file(image: bytes) -> tuple[np.ndarray, np.ndarray, WaveletMatrix]:
 class CachedTokenizer:
     """A tokenizers-library file whose ids never depend on text across a blank or line break.
 
-    Such a tokenizer drops white space before anything else, so each distinct run
-    between blanks is encoded once and kept in a bounded cache.
+    Such a tokenizer drops white space before anything else, so a text's ids are its
+    words' ids in a row, and each distinct word of a batch is encoded once. Where the file also
+    lower-cases, and sets stops and commas apart from letters, forms that differ in these
+    alone share one encoding. Where its tokens mark word ends, words made of letters are encoded
+    many in a string, which costs half, and cut at those marks. At `CACHE` words the
+    cache starts anew, and takes what is still used from the one before.
     """
 
     def __init__(self, path: str) -> None:
@@ -194,17 +199,65 @@ class CachedTokenizer:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
         self.cache: dict[str, bytes] = {"": b""}
+        self.old: dict[str, bytes] = {}
+        vocabulary = self.tokenizer.get_vocab()
+        self.ends = np.zeros(max(vocabulary.values(), default=0) + 1, bool)
+        self.ends[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
+        lower, upper, whole, stem, *marks = self._each(["qzé", "QzÉ", "ab.", "ab", ".", ","])
+        self.lowers = lower == upper
+        self.marks = dict(zip(".,", marks, strict=True)) if whole == stem + marks[0] else {}
+
+    def _each(self, words: list[str]) -> list[bytes]:
+        return [array("I", x.ids).tobytes() for x in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
+
+    def _strung(self, words: list[str]) -> list[bytes]:
+        """_each for words of letters only."""
+        out: list[bytes] = []
+        for k in range(0, len(words), 500):
+            some = words[k : k + 500]
+            ids = np.array(self.tokenizer.encode_batch_fast([" ".join(some)], add_special_tokens=False)[0].ids, "<u4")
+            ends = np.flatnonzero(self.ends[ids]) + 1
+            if len(ends) != len(some) or ends[-1] != len(ids):
+                out += self._each(some)
+                continue
+            raw, at = ids.tobytes(), [0, *(4 * ends).tolist()]
+            out += [raw[a:b] for a, b in zip(at, at[1:])]  # noqa: B905
+        return out
+
+    def _learn(self, words: list[str]) -> None:
+        cache, old, marks = self.cache, self.old, self.marks
+        plain: dict[str, None] = {}
+        other, formed = [], []
+        for w in words:
+            if (ids := old.get(w)) is not None:
+                cache[w] = ids
+                continue
+            stem = w.lower() if self.lowers and "Σ" not in w else w  # that letter's lower case depends on its place
+            mark = stem[-1]
+            if mark in marks and stem[:-1].isalpha():
+                stem = stem[:-1]
+                formed.append((w, stem, marks[mark]))
+            elif stem != w:
+                formed.append((w, stem, b""))
+            if stem not in cache:
+                if stem.isalpha():
+                    plain[stem] = None
+                else:
+                    other.append(stem)
+        cache.update(zip(plain, self._strung(list(plain)), strict=True))
+        cache.update(zip(other, self._each(other), strict=True))
+        for w, stem, mark in formed:
+            cache[w] = cache[stem] + mark
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """The ids of each text, as little-endian unsigned 32-bit integers."""
-        parts = [x.replace("\n", " ").split(" ") for x in texts]
         if len(self.cache) > CACHE:
-            self.cache = {"": b""}
-        new = list(set().union(*parts) - self.cache.keys())
-        for word, e in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False), strict=True):
-            self.cache[word] = np.array(e.ids, "<u4").tobytes()
-        get = self.cache.__getitem__
-        return [b"".join(map(get, p)) for p in parts]
+            self.cache, self.old = {"": b""}, self.cache
+        parts = [x.replace("\n", " ").split(" ") for x in texts]
+        cache = self.cache
+        got = [list(map(cache.get, p)) for p in parts]
+        self._learn(list({w for p, g in zip(parts, got, strict=True) if None in g for w, x in zip(p, g, strict=True) if x is None}))
+        return [b"".join([x or cache[w] for w, x in zip(p, g, strict=True)] if None in g else g) for p, g in zip(parts, got, strict=True)]
 
 
 @lru_cache(maxsize=2)
