@@ -4,9 +4,10 @@ from __future__ import annotations
 
 from rankjoin.llm.bpe import op1_byte_bpe
 from rankjoin.llm.chat import OP3_SQL, op3_chat_format
+from rankjoin.llm.mixing import op10_source_mix
 from rankjoin.llm.quality import op8_quality_rules
 from rankjoin.llm.simhash import op6_simhash
 from rankjoin.llm.wavelet import op9_wavelet_ids
 
-QUERIES = {f.__name__: f for f in (op1_byte_bpe, op3_chat_format, op6_simhash, op8_quality_rules, op9_wavelet_ids)}
+QUERIES = {f.__name__: f for f in (op1_byte_bpe, op3_chat_format, op6_simhash, op8_quality_rules, op9_wavelet_ids, op10_source_mix)}
 ORACLE_SQL = {"op3_chat_format": OP3_SQL}
