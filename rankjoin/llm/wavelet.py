@@ -28,6 +28,7 @@ import zlib
 from array import array
 from collections.abc import Iterator
 from functools import lru_cache
+from string import punctuation
 
 import numpy as np
 import pyarrow as pa
@@ -46,7 +47,7 @@ SHARD = 1 << 21
 NULL_ID = -(2**63)
 END_ID = 2
 CACHE = 600_000  # words, about 170 bytes each
-BATCH_CHARS = 3_000_000
+BATCH_CHARS = 1_000_000
 
 
 class WaveletMatrix:
@@ -186,7 +187,7 @@ class CachedTokenizer:
 
     Such a tokenizer drops white space before anything else, so a text's ids are its
     words' ids in a row, and each distinct word of a batch is encoded once. Where the file also
-    lower-cases, and sets stops and commas apart from letters, forms that differ in these
+    lower-cases, and sets ASCII punctuation apart from letters, forms that differ in these
     alone share one encoding. Where its tokens mark word ends, words made of letters are encoded
     many in a string, which costs half, and cut at those marks. At `CACHE` words the
     cache starts anew, and takes what is still used from the one before.
@@ -198,14 +199,13 @@ class CachedTokenizer:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
-        self.cache: dict[str, bytes] = {"": b""}
+        self.cache = _Found({"": b""})
         self.old: dict[str, bytes] = {}
         vocabulary = self.tokenizer.get_vocab()
         self.ends = np.zeros(max(vocabulary.values(), default=0) + 1, bool)
         self.ends[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
-        lower, upper, whole, stem, *marks = self._each(["qzé", "QzÉ", "ab.", "ab", ".", ","])
-        self.lowers = lower == upper
-        self.marks = dict(zip(".,", marks, strict=True)) if whole == stem + marks[0] else {}
+        lower, upper, whole, stem, tail = self._each(["qzé", "QzÉ", "ab'.-", "ab", "'.-"])
+        self.lowers, self.splits = lower == upper, whole == stem + tail
 
     def _each(self, words: list[str]) -> list[bytes]:
         return [array("I", x.ids).tobytes() for x in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
@@ -225,39 +225,56 @@ class CachedTokenizer:
         return out
 
     def _learn(self, words: list[str]) -> None:
-        cache, old, marks = self.cache, self.old, self.marks
+        cache, old = self.cache, self.old
+        if old:
+            kept = [(w, old[w]) for w in words if w in old]
+            cache.update(kept)
+            words = [w for w in words if w not in cache] if kept else words
+        # "Σ" has two lower cases, by its place in the word
+        low = [w.lower() if "Σ" not in w else w for w in words] if self.lowers else words
+        stems = [x.rstrip(punctuation) for x in low] if self.splits else low
         plain: dict[str, None] = {}
-        other, formed = [], []
-        for w in words:
-            if (ids := old.get(w)) is not None:
-                cache[w] = ids
-                continue
-            stem = w.lower() if self.lowers and "Σ" not in w else w  # that letter's lower case depends on its place
-            mark = stem[-1]
-            if mark in marks and stem[:-1].isalpha():
-                stem = stem[:-1]
-                formed.append((w, stem, marks[mark]))
-            elif stem != w:
-                formed.append((w, stem, b""))
-            if stem not in cache:
-                if stem.isalpha():
+        other: dict[str, None] = {}
+        cut: list[tuple[str, str, str]] = []
+        for w, x, stem in zip(words, low, stems, strict=True):
+            if stem.isalpha():
+                if stem not in cache:
                     plain[stem] = None
-                else:
-                    other.append(stem)
+                if stem is not w:
+                    tail = x[len(stem) :]
+                    if tail not in cache:
+                        other[tail] = None
+                    cut.append((w, stem, tail))
+            else:
+                other[w] = None
         cache.update(zip(plain, self._strung(list(plain)), strict=True))
-        cache.update(zip(other, self._each(other), strict=True))
-        for w, stem, mark in formed:
-            cache[w] = cache[stem] + mark
+        cache.update(zip(other, self._each(list(other)), strict=True))
+        for w, stem, tail in cut:
+            cache[w] = cache[stem] + cache[tail]
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """The ids of each text, as little-endian unsigned 32-bit integers."""
         if len(self.cache) > CACHE:
-            self.cache, self.old = {"": b""}, self.cache
-        parts = [x.replace("\n", " ").split(" ") for x in texts]
+            self.cache, self.old = _Found({"": b""}), self.cache
         cache = self.cache
-        got = [list(map(cache.get, p)) for p in parts]
-        self._learn(list({w for p, g in zip(parts, got, strict=True) if None in g for w, x in zip(p, g, strict=True) if x is None}))
-        return [b"".join([x or cache[w] for w, x in zip(p, g, strict=True)] if None in g else g) for p, g in zip(parts, got, strict=True)]
+        got = [list(map(cache.__getitem__, x.replace("\n", " ").split(" "))) for x in texts]
+        if cache.unknown:
+            self._learn(list(cache.unknown))
+            cache.unknown.clear()
+            got = [[x if x.__class__ is bytes else cache[x] for x in g] for g in got]
+        return [b"".join(g) for g in got]
+
+
+class _Found(dict):
+    """Looking up an unknown word notes it and gives the word itself."""
+
+    def __init__(self, *given) -> None:
+        super().__init__(*given)
+        self.unknown: dict[str, None] = {}
+
+    def __missing__(self, word: str) -> str:
+        self.unknown[word] = None
+        return word
 
 
 @lru_cache(maxsize=2)
