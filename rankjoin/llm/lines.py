@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rankjoin.llm.common import SPACE_CHARS, free_name, runs, table, written
+from rankjoin.llm.common import SPACE_CHARS, free_name, let, runs, table, written
 from rankjoin.llm.components import components
 
 EDITS = 2
@@ -282,8 +282,7 @@ def drop_lines(docs: DataFrame, **how) -> DataFrame:
     row, gone, key = free_name(docs, "_row", "_dropped", "_key")
     gone_rows = decide(docs, **how).where(F.size("dropped") > 0).select(F.col("row").alias(key), F.col("dropped").alias(gone)).dropDuplicates([key])
     out = docs.withColumn(row, F.xxhash64("doc_id", "text")).join(gone_rows.hint("shuffle_hash"), F.col(row) == F.col(key), "left")
-    lines = F.split("text", "\n")
-    kept = F.transform(F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col(gone)), lambda i: F.get(lines, i))
+    kept = let(F.split("text", "\n"), lambda lines: F.transform(F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col(gone)), lambda i: F.get(lines, i)))
     text = F.when(F.col(gone).isNull(), F.col("text")).otherwise(F.array_join(kept, "\n"))
     new = {"text": text} | ({"n_chars": F.when(F.col(gone).isNull(), F.col("n_chars")).otherwise(F.length(text))} if "n_chars" in docs.columns else {})
     return out.select(*(new[c].cast(docs.schema[c].dataType).alias(c) if c in new else F.col(c) for c in docs.columns))

@@ -88,11 +88,13 @@ def judge(docs: DataFrame, weights: DataFrame, *, buckets: int = BUCKETS, thresh
     dup = (F.size(c(base)["lines"]) - F.size(F.array_distinct(c(base)["lines"]))).cast("long")
     df = df.select(*own, score, *(c(base)[k].alias(f"{base}_{k}") for k in ("n_words", "word_chars", "n_symbols")), dup.alias(f"{base}_dup"), covered.alias(f"{base}_rep"))
     failed = (c(f"{base}_n_words") < 50) | (100 * c(f"{base}_rep") > 50 * c(f"{base}_n_words"))
+    # a nondeterministic part (always true) keeps the optimizer from copying all of the above below a filter on the verdict
+    verdict = ~failed & (c(score) >= threshold) & (F.spark_partition_id() >= 0)
     return df.select(
         *own,
         F.struct(
             c(f"{base}_n_words").alias("n_words"), c(f"{base}_word_chars").alias("word_chars"), c(f"{base}_n_symbols").alias("n_symbols"), c(f"{base}_dup").alias("n_dup_lines"), c(f"{base}_rep").alias("n_repeat_words"),
-            failed.alias("base_failed"), c(score).alias("ratio"), (~failed & (c(score) >= threshold)).alias("kept"),
+            failed.alias("base_failed"), c(score).alias("ratio"), verdict.alias("kept"),
         ).alias(into),
     )
 
