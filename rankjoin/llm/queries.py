@@ -8,7 +8,8 @@ from rankjoin.llm.lines import op5_line_dedup
 from rankjoin.llm.mixing import op10_source_mix
 from rankjoin.llm.quality import op8_quality_rules
 from rankjoin.llm.simhash import op6_simhash
+from rankjoin.llm.toxicity import op2_toxicity
 from rankjoin.llm.wavelet import op9_wavelet_ids
 
-QUERIES = {f.__name__: f for f in (op1_byte_bpe, op3_chat_format, op5_line_dedup, op6_simhash, op8_quality_rules, op9_wavelet_ids, op10_source_mix)}
+QUERIES = {f.__name__: f for f in (op1_byte_bpe, op2_toxicity, op3_chat_format, op5_line_dedup, op6_simhash, op8_quality_rules, op9_wavelet_ids, op10_source_mix)}
 ORACLE_SQL = {"op3_chat_format": OP3_SQL}
