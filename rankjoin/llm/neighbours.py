@@ -2,12 +2,11 @@
 
 Rows fall by hash into shards of about `SHARD` vectors. A shard's index is one sorted array per
 projection (columns of random orthonormal bases, so each hash is a single projection). A
-query looks at a window around its own value in every array and counts how often each vector falls
-into it; virtual rehashing widens all windows by a factor at each level, and only what
-the wider window adds is counted. Vectors whose count exceeds the collision threshold
+query looks at a window around its own value in every array and counts in how many of them each
+vector lies; virtual rehashing widens all windows by a factor at each level. Vectors whose count exceeds the collision threshold
 are verified by their exact inner product. A query ends in a shard when its k-th best
 vector is nearer than what the windows have surely collected, or when the share `BUDGET` of the
-shard has been verified.
+shard (`LEAST` vectors at least) has been verified.
 
 Largest inner product becomes smallest distance by one more coordinate, which fills
 every vector up to the shard's largest norm and is zero in queries. The best k of all shards
@@ -36,12 +35,13 @@ BLOCK = 512
 BLOCKS = 64
 PROJECTIONS = 128
 #: Share of the projections in which a vector must fall into the window.
-THRESHOLD = 0.7
-FIRST, GROWTH = 0.9, 1.3  # half window at the first level, in standard deviations; factor per level
-BUDGET = 0.1
+THRESHOLD = 0.6
+FIRST, GROWTH = 1.1, 1.12  # half window at the first level, in standard deviations; factor per level
+BUDGET = 0.08
+LEAST = 1024  # vectors that a query may verify in any shard
 SURE = 0.8
 SEED = 7
-_QUANTILE = 1.0364  # half of a normal distribution's middle 70 %, in standard deviations
+_QUANTILE = 0.8416  # half of a normal distribution's middle 60 %, in standard deviations
 
 
 class CollisionIndex:
@@ -58,8 +58,11 @@ class CollisionIndex:
         bases = [np.linalg.qr(rng.normal(size=(d + 1, d + 1)))[0] for _ in range(-(-projections // (d + 1)))]
         self.axes = np.concatenate(bases, 1)[:, :projections]
         values = np.ascontiguousarray((full @ self.axes).T)
-        self.order = np.argsort(values, axis=1, kind="stable")
-        self.sorted = np.take_along_axis(values, self.order, 1)
+        order = np.argsort(values, axis=1, kind="stable")
+        self.sorted = np.take_along_axis(values, order, 1)
+        self.order = order.astype(np.int32)
+        self.place = np.empty(order.shape, np.uint16 if n <= 1 << 16 else np.uint32)  # of each vector in each array
+        np.put_along_axis(self.place, order, np.arange(n, dtype=self.place.dtype)[None, :], 1)
         self.width = FIRST * float(values.std()) or 1.0
 
     def search(self, query: np.ndarray, own: int, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -68,23 +71,12 @@ class CollisionIndex:
         if n <= 2 * k:
             return self._best(np.arange(n), query, own, k)
         at = query @ self.axes[:-1]
-        m = len(at)
-        counts, seen = np.zeros(n, np.uint8), np.zeros(n, bool)
-        need, budget, half = math.ceil(THRESHOLD * m), BUDGET * n + k, self.width
-        found, low, high, norm = np.zeros(0, np.int64), None, None, float(query @ query)
+        need, budget, half = math.ceil(THRESHOLD * len(at)), max(BUDGET * n, LEAST) + k, self.width
+        norm = float(query @ query)
         while True:
-            a = [int(s.searchsorted(x - half, "left")) for s, x in zip(self.sorted, at, strict=True)]
-            b = [int(s.searchsorted(x + half, "right")) for s, x in zip(self.sorted, at, strict=True)]
-            for j, order in enumerate(self.order):
-                if low is None:
-                    counts[order[a[j] : b[j]]] += 1
-                else:
-                    counts[order[a[j] : low[j]]] += 1
-                    counts[order[high[j] : b[j]]] += 1
-            low, high = a, b
-            fresh = np.flatnonzero((counts >= need) & ~seen)
-            seen[fresh] = True
-            found = np.concatenate([found, fresh])
+            low = [int(s.searchsorted(x - half, "left")) for s, x in zip(self.sorted, at, strict=True)]
+            high = [int(s.searchsorted(x + half, "right")) for s, x in zip(self.sorted, at, strict=True)]
+            found = np.flatnonzero(self._collisions(low, high) >= need)
             if len(found) >= budget or len(found) == n:
                 break
             if len(found) > k:
@@ -95,6 +87,25 @@ class CollisionIndex:
             half *= GROWTH
         return self._best(found, query, own, k)
 
+    def _collisions(self, low: list[int], high: list[int]) -> np.ndarray:
+        """In how many arrays each vector lies within the window [low, high)."""
+        n = len(self.ids)
+        counts = np.zeros(n, np.uint8)
+        if sum(high) - sum(low) < n * len(low) / 16:  # narrow windows: only what they hold
+            for order, a, b in zip(self.order, low, high, strict=True):
+                counts[order[a:b]] += 1
+            return counts
+        kind = self.place.dtype.type
+        off, inside = np.empty(n, kind), np.empty(n, bool)
+        for place, a, b in zip(self.place, low, high, strict=True):  # wide ones: a compare per vector is cheaper
+            if b - a >= n:
+                counts += 1
+                continue
+            np.subtract(place, kind(a), out=off)
+            np.less(off, kind(b - a), out=inside)
+            counts += inside.view(np.uint8)
+        return counts
+
     def _best(self, rows: np.ndarray, query: np.ndarray, own: int, k: int) -> tuple[np.ndarray, np.ndarray]:
         rows = rows[self.ids[rows] != own]
         score = self.vectors[rows] @ query
