@@ -83,7 +83,7 @@ def heavy_light(q: ConjunctiveQuery, relations: dict[str, DataFrame], ranking: R
 def union(trees: list[Stages], k: int, variables: tuple[str, ...], *, method: str = "deviate", dedupe: bool = False) -> DataFrame:
     """The k best answers of a union of trees: the k best of each, merged."""
     ranking = trees[0].ranking
-    every = [enumerate_stages(t, k, method).select(*variables, "w") for t in trees]
+    every = [enumerate_stages(t, k, method, ties=True).select(*variables, "w") for t in trees]  # the trees break ties differently
     both = reduce(DataFrame.unionByName, every)
     both = both.dropDuplicates(list(variables)) if dedupe else both
     order = [ranking.order(F.col("w")), *variables]

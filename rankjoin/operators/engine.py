@@ -63,7 +63,20 @@ def _readers(s: Stages) -> list[list[bool]]:
     return [[isinstance(s.frames[i].schema[v].dataType, whole) for v in s.tree.bags[i]] for i in s.tree.order()]
 
 
-def _worker(s: Stages, k: int | None, method: str, successor: str):
+def _until(answers, k: int | None, key, ties: bool):
+    """The first k answers; with ties also those as good as the last of them."""
+    if not ties or k is None:
+        yield from islice(answers, k)
+        return
+    last = None
+    for n, a in enumerate(answers, 1):
+        if n > k and key(a[0]) != last:
+            return
+        last = key(a[0]) if n <= k else last
+        yield a
+
+
+def _worker(s: Stages, k: int | None, method: str, successor: str, ties: bool = False):
     """A function from graph rows (Arrow batches) to answers (variables as text, w, rank)."""
     order = s.tree.order()
     parent = [-1 if s.tree.parent[i] < 0 else order.index(s.tree.parent[i]) for i in order]
@@ -81,7 +94,7 @@ def _worker(s: Stages, k: int | None, method: str, successor: str):
 
         g = build(parent, ranking, rows())
         how = {} if method == "recurse" else {"successor": successor}
-        answers, rank, size = islice(METHODS[method](g, **how), k), 0, 1
+        answers, rank, size = _until(METHODS[method](g, **how), k, ranking.key, ties), 0, 1
         while some := list(islice(answers, size)):
             cols = [[str(a[1][where[v][0]].ids[where[v][1]]) for a in some] for v in names]
             yield pa.RecordBatch.from_arrays(
@@ -112,8 +125,8 @@ def swept(s: Stages, k: int | None) -> Stages:
     return sweeps.pruned(full, k)
 
 
-def enumerate_stages(s: Stages, k: int | None, method: str = "deviate", successor: str = "quick") -> DataFrame:
-    """The k best answers (all without k) of full stages: variables, w, rank."""
+def enumerate_stages(s: Stages, k: int | None, method: str = "deviate", successor: str = "quick", *, ties: bool = False) -> DataFrame:
+    """The k best answers (all without k) of full stages: variables, w, rank. ties: and those as good as the k-th."""
     if k == 0:
         k, none = 1, True
     else:
@@ -122,13 +135,13 @@ def enumerate_stages(s: Stages, k: int | None, method: str = "deviate", successo
     if method == "kbest":
         if k is None:
             raise ValueError("kbest needs k")
-        out = k_best(ready, k, ties=not s.ranking.strict)
+        out = k_best(ready, k, ties=ties or not s.ranking.strict)
         return out.limit(0) if none else out
     if method == "join_first":
         from rankjoin.operators.baselines import join_first
 
         return join_first(s, k)
-    work, schema = _worker(ready, k, method, successor)
+    work, schema = _worker(ready, k, method, successor, ties)
     out = _typed(graph_rows(ready).coalesce(1).mapInArrow(work, schema), s)
     return out.limit(0) if none else out
 
