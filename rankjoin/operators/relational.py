@@ -48,7 +48,7 @@ def join_theta_range(s: SparkSession, d: str) -> DataFrame:
 
 def join_interval(s: SparkSession, d: str) -> DataFrame:
     """Pairs of one user's events at most an hour apart."""
-    e = load(s, d, "events").select("event_id", "user_id", F.unix_micros("ts").alias("t")).withColumn("hour", F.expr("t div 3600000000"))
+    e = load(s, d, "events").select("event_id", "user_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("t")).withColumn("hour", F.expr("t div 3600000000"))
     left = e.select(F.col("event_id").alias("e1"), "user_id", F.col("t").alias("t1"), "hour")
     right = e.select(F.col("event_id").alias("e2"), "user_id", F.col("t").alias("t2"), F.explode(F.array(F.col("hour"), F.col("hour") - 1)).alias("hour"))
     return left.join(right, ["user_id", "hour"]).where("e1 <> e2 and t2 >= t1 and t2 - t1 <= 3600000000").select("e1", "e2")
@@ -56,7 +56,7 @@ def join_interval(s: SparkSession, d: str) -> DataFrame:
 
 def join_asof(s: SparkSession, d: str) -> DataFrame:
     """For each purchase the user's latest earlier view: one union and a running last value, no range join."""
-    e = load(s, d, "events").select("event_id", "user_id", "event_type", F.unix_micros("ts").alias("t"))
+    e = load(s, d, "events").select("event_id", "user_id", "event_type", F.unix_micros(F.col("ts").cast("timestamp")).alias("t"))
     order = Window.partitionBy("user_id").orderBy("t", "event_id").rowsBetween(Window.unboundedPreceding, -1)
     seen = F.last(F.when(F.col("event_type") == "view", F.col("event_id")), ignorenulls=True).over(order)
     return e.withColumn("view_id", seen).where("event_type = 'purchase'").select("event_id", "view_id")
@@ -105,7 +105,7 @@ def agg_grouping_sets(s: SparkSession, d: str) -> DataFrame:
 
 
 def agg_pivot(s: SparkSession, d: str) -> DataFrame:
-    return load(s, d, "lineitem").groupBy("l_linestatus").pivot("l_returnflag", ["A", "N", "R"]).agg(F.count("*"))
+    return load(s, d, "lineitem").groupBy("l_linestatus").pivot("l_returnflag", ["A", "N", "R"]).agg(F.count("l_orderkey"))
 
 
 def win_rank_ties(s: SparkSession, d: str) -> DataFrame:
@@ -132,7 +132,7 @@ def win_running_rows(s: SparkSession, d: str) -> DataFrame:
 
 
 def win_range_frame(s: SparkSession, d: str) -> DataFrame:
-    e = load(s, d, "events").select("user_id", "event_id", F.expr("unix_micros(ts) div 1000000").alias("t"))
+    e = load(s, d, "events").select("user_id", "event_id", F.expr("unix_micros(cast(ts as timestamp)) div 1000000").alias("t"))
     near = Window.partitionBy("user_id").orderBy("t").rangeBetween(-86400, 0)
     return e.withColumn("day", F.count("*").over(near)).select("event_id", "day")
 
@@ -177,7 +177,7 @@ def fn_string(s: SparkSession, d: str) -> DataFrame:
 
 
 def fn_date(s: SparkSession, d: str) -> DataFrame:
-    return load(s, d, "orders").select("o_orderkey", F.year("o_orderdate").cast("bigint").alias("y"), F.date_trunc("month", "o_orderdate").cast("date").alias("m"))
+    return load(s, d, "orders").select("o_orderkey", F.year("o_orderdate").cast("bigint").alias("y"), F.date_format("o_orderdate", "yyyy-MM").alias("m"))
 
 
 def fn_math(s: SparkSession, d: str) -> DataFrame:
@@ -247,7 +247,7 @@ SQL = {
     "set_except_all": "select c_custkey as c from customer except all select o_custkey from orders",
     "set_union_all": "select n_regionkey as k from nation union all select r_regionkey from region",
     "fn_string": "select doc_id, upper(lang) as up, concat_ws('-', lang, source) as both, md5(text) as digest from documents",
-    "fn_date": "select o_orderkey, year(o_orderdate) as y, cast(date_trunc('month', o_orderdate) as date) as m from orders",
+    "fn_date": "select o_orderkey, year(o_orderdate) as y, strftime(o_orderdate, '%Y-%m') as m from orders",
     "fn_math": "select c_custkey, ((w % 97) + 97) % 97 as m, greatest(w, 0) as g, abs(w) as a from (select c_custkey, cast(round(c_acctbal * 100) as bigint) as w from customer)",
     "fn_array_hof": "select o_custkey, count(*) as n, cast(sum(o_orderkey) as bigint) as total, count(*) filter (o_orderkey % 2 = 0) as even from orders group by o_custkey",
     "fn_map": "select n_regionkey, count(*) filter (n_nationkey > 10) as above from nation group by n_regionkey",

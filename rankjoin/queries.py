@@ -209,3 +209,105 @@ _add("edge_view_basket", lambda s, d: graphs.basket(s, d), graphs.SQL["basket"])
 _add("edge_view_event", lambda s, d: graphs.event(s, d), graphs.SQL["event"])
 _add("edge_view_web", lambda s, d: graphs.web(s, d), "select distinct page_id as a, b, cast(length(b) as bigint) as w from (select page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) as b from pages)")
 _add("syn_uniform", lambda s, d: graphs.uniform(s, 1, 5000, 500), "select a, b, min(w) as w from (select ('0x' || substr(md5('1:a:' || i), 1, 12))::bigint % 500 as a, ('0x' || substr(md5('1:b:' || i), 1, 12))::bigint % 500 as b, ('0x' || substr(md5('1:w:' || i), 1, 12))::bigint % 1000000 as w from range(5000) t(i)) group by a, b")
+
+from rankjoin.operators import relational  # noqa: E402
+
+for _n in relational.QUERIES:
+    _add(f"rel_{_n}", relational.QUERIES[_n], relational.SQL[_n])
+
+from rankjoin import measure, workloads  # noqa: E402
+from rankjoin.operators import paths  # noqa: E402
+
+
+def _uniform_sql(j: int, rows: int, domain: int) -> str:
+    hexed = lambda c: f"('0x' || substr(md5('{j}:{c}:' || i), 1, 12))::bigint"
+    return f"select a, b, min(w) as w from (select {hexed('a')} % {domain} as a, {hexed('b')} % {domain} as b, {hexed('w')} % 1000000 as w from range({rows}) t(i)) group by a, b"
+
+
+def _plain_sql(q: cq.ConjunctiveQuery, withs: str, k: int | None, shown: str | None = None) -> str:
+    """SQL of a query over binary relations with columns a, b, w that `withs` defines."""
+    first: dict[str, str] = {}
+    where = []
+    for i, atom in enumerate(q.atoms):
+        for column, term in zip("ab", atom.terms, strict=True):
+            if term in first:
+                where.append(f"{first[term]} = t{i}.{column}")
+            else:
+                first[term] = f"t{i}.{column}"
+    order = engine.in_order(join_tree(q)) if join_tree(q) else list(q.variables)
+    tail = f"order by w, {', '.join(order)}"
+    total = " + ".join(f"t{i}.w" for i in range(len(q.atoms)))
+    body = f"select {', '.join(f'{first[v]} as {v}' for v in order)}, cast({total} as bigint) as w from {', '.join(f'{a.relation} t{i}' for i, a in enumerate(q.atoms))} where {' and '.join(where)}"
+    limit = f" limit {k}" if k is not None else ""
+    return f"with {withs}, best as (select * from ({body}) {tail}{limit}) select {shown or ', '.join(order) + ', w'}, cast(row_number() over ({tail}) as bigint) as rank from best"
+
+
+_W_SQL: dict[str, str] = {}
+for _start, _make in ((13, cq.path), (17, cq.star), (21, cq.branch)):
+    for _i, _atoms in enumerate((3, 4, 5, 6)):
+        _rows, _domain = workloads.FULL[_atoms]
+        _withs = ", ".join(f"R{j} as ({_uniform_sql(j, _rows, _domain)})" for j in range(1, _atoms + 1))
+        _W_SQL[f"W{_start + _i}"] = _plain_sql(workloads._numbered(_make(_atoms)), _withs, None)
+_W_SQL["W25"] = _plain_sql(cq.path(4), f"G as ({graphs.SQL['basket']}), E as (select * from G where a < 40 and b < 40)", None)
+_W_SQL["W26"] = _plain_sql(cq.star(4), f"G as ({graphs.SQL['basket']}), E as (select * from G where a < 40 and b < 40)", None)
+_W_SQL["W27"] = _plain_sql(cq.path(4), f"G as ({graphs.SQL['event']}), E as (select * from G where a < 14 and b < 14)", None)
+_W_SQL["W28"] = _plain_sql(cq.star(3), f"G as ({graphs.SQL['event']}), E as (select * from G where a < 14 and b < 14)", None)
+_SLICE = ", ".join(f"r{i} as (select p_partkey as x{i}, cast(round(p_retailprice * 100) as bigint) as w{i} from part where p_partkey between {10 * i} and {10 * i} + %d)" for i in range(3))
+for _name, _n in (("W38", 3), ("W48", 9)):
+    _W_SQL[_name] = "with " + _SLICE % (_n, _n, _n) + " select x0, x1, x2, w0 + w1 + w2 as w, cast(row_number() over (order by w0 + w1 + w2, x0, x1, x2) as bigint) as rank from r0, r1, r2"
+_W_SQL["W39"] = _plain_sql(workloads._numbered(cq.path(3)), ", ".join(f"{n}(a, b, w) as (values {', '.join(f'({a}::bigint, {b}::bigint, {w}::bigint)' for a, b, w in r)})" for n, r in workloads.EXAMPLE.items()), None)
+_W_SQL["W40"] = sql(_TREE, _TREE_NAMES, K)
+_W_SQL["W41"] = _FC_BODY + _FC_TAIL
+_W_SQL["W42"] = f"{sql(cq.path(2), _BASKET, None, body_only=True)} select 'all' as semantics, x0, w, cast(row_number() over (order by w, x0, x1, x2) as bigint) as rank from (select * from answers order by w, x0, x1, x2 limit {K}) union all select 'min', x0, w, cast(row_number() over (order by w, x0) as bigint) from (select x0, min(w) as w from answers group by x0 order by w, x0 limit {K})"
+_W_SQL["W43"] = "select * from (values ('deviate', 1011::bigint, 0::bigint), ('rank_join', 1011, 83), ('astar_join', 1011, 93)) t(method, top, combinations)"
+_W_SQL["W44"] = "select cast(100 + 100 * 100 + 100 * 100 as bigint) as size, 200::bigint as \"rows\""
+for _n, _run in workloads.WORKLOADS.items():
+    _add(_n, _run, _W_SQL.get(_n))
+
+
+def _walks(spark: SparkSession, d: str, method: str) -> DataFrame:
+    """The 50 lightest paths of at most any length from node 0 to node 99 of an acyclic part of the basket graph, in one process."""
+    rows = graphs.basket(spark, d).where("a < b and b < 100").orderBy("a", "b").collect()  # 100 nodes bound it
+    out = []
+    for n, (w, nodes) in enumerate(paths.iterate([(r.a, r.b, r.w) for r in rows], 0, 99, method=method), 1):
+        out.append((n, int(w)))
+        if n == 50:
+            break
+    return spark.createDataFrame(out, "rank bigint, w bigint")
+
+
+_WALK_SQL = f"with recursive G as ({graphs.SQL['basket']}), E as (select * from G where a < b and b < 100), p(node, w) as (select 0::bigint, 0::bigint union all select E.b, p.w + E.w from p join E on p.node = E.a where p.w < 2000000) select cast(row_number() over (order by w) as bigint) as rank, w from (select w from p where node = 99 order by w limit 50)"
+for _m in ("recurse", "deviate", "implicit"):
+    _add(f"dag_paths_{_m}", lambda s, d, m=_m: _walks(s, d, m))
+
+
+def _dag_best(spark: SparkSession, d: str) -> DataFrame:
+    """Lightest path to node 99 from every node of the acyclic part, by sweeps."""
+    e = graphs.basket(spark, d).where("a < b and b < 100").select(F.col("a").alias("src"), F.col("b").alias("dst"), "w")
+    return paths.shortest(e, 99)
+
+
+def _layered(spark: SparkSession, d: str):
+    return engine.stages_of(cq.path(3), relations(spark, d, _BASKET))
+
+
+def _threshold(spark: SparkSession, d: str) -> DataFrame:
+    """Customers of a nation by the lower median of three scores, by sorted access; one nation's customers bound it."""
+    c = load_customers(spark, d).collect()
+    lists = [{r.c: r[n] for r in c} for n in ("balance", "orders", "spent")]
+    pulls = baselines.Pulls()
+    best = baselines.threshold_algorithm(lists, lambda x: sorted(x)[1], 5, pulls)
+    return spark.createDataFrame([(n, int(w), int(o)) for n, (w, o) in enumerate(best, 1)], "rank bigint, w bigint, c bigint")
+
+
+def load_customers(spark: SparkSession, d: str) -> DataFrame:
+    c, o = graphs.customer_nation(spark, d).where("n = 7"), graphs.customer_orders(spark, d)
+    per = o.groupBy("c").agg(F.count("*").alias("orders"), F.sum("w").alias("spent"))
+    return c.join(per, "c", "left").select("c", F.col("w").alias("balance"), F.coalesce("orders", F.lit(0)).alias("orders"), F.coalesce("spent", F.lit(0)).alias("spent"))
+
+
+_add("dag_best_by_sweeps", _dag_best, f"with recursive G as ({graphs.SQL['basket']}), E as (select * from G where a < b and b < 100), p(node, w) as (select 99::bigint, 0::bigint union select E.a, p.w + E.w from p join E on p.node = E.b where p.w < 1500000) select node, min(w) as best from p group by node")
+ORACLE_SQL.pop("dag_best_by_sweeps")  # the recursion lists every path; tests hold it against brute force
+_add("threshold_median", _threshold, f"with C as ({graphs.SQL['customer_nation']}), O as ({graphs.SQL['customer_orders']}), p as (select c, count(*) as orders, sum(w) as spent from O group by c), v as (select C.c, w as balance, coalesce(orders, 0) as orders, coalesce(spent, 0) as spent from C left join p on C.c = p.c where n = 7), m as (select c, cast(balance + orders + spent - greatest(balance, orders, spent) - least(balance, orders, spent) as bigint) as w from v) select cast(row_number() over (order by w, c) as bigint) as rank, w, c from (select * from m order by w, c limit 5)")
+_add("graph_size_hubs", lambda s, d: measure.graph_size([graphs.basket(s, d).select(F.col("a").alias("x0"), F.col("b").alias("x1")), graphs.basket(s, d).select(F.col("a").alias("x1"), F.col("b").alias("x2"))], [("x1",)]), f"with E as ({graphs.SQL['basket']}), l as (select b as k, count(*) as l from E group by b), r as (select a as k, count(*) as r from E group by a) select count(*) as hubs, cast(sum(l + r) as bigint) as hub_edges, cast(sum(l * r) as bigint) as pair_edges from l join r on l.k = r.k")
+_add("graph_stats_basket", lambda s, d: measure.graph_stats(graphs.basket(s, d)), f"with E as ({graphs.SQL['basket']}), n as (select a as n from E union all select b from E), g as (select n, count(*) as d from n group by n) select cast(sum(d) / 2 as bigint) as edges, count(*) as nodes, avg(d) as mean_degree, max(d) as max_degree from g")
