@@ -27,7 +27,7 @@ from rankjoin.llm.common import SPACE_CHARS, free_name, words
 SYMBOLS = "#*$%&|<>"
 BUCKETS = 1 << 14
 #: Mean log ratio per n-gram below which a text is rejected.
-THRESHOLD = -0.06
+THRESHOLD = -0.07
 #: Largest number of trusted ids that is broadcast (8 bytes each); beyond it the join shuffles.
 BROADCAST_IDS = 2_000_000
 
