@@ -210,11 +210,11 @@ def is_subset_monotone(total: Callable[[tuple], Any], values: tuple, size: int =
 
 
 def is_strong_subset_monotone(total: Callable[[tuple], Any], values: tuple, size: int = 2) -> bool:
-    """The order that two parts have beside one rest, they have beside every rest."""
+    """The order that two parts have beside one rest, they keep beside every rest that is no better."""
     for n in range(1, size + 1):
         for x, y in product(product(values, repeat=n), repeat=2):
-            for z in values:
-                if total((*x, z)) < total((*y, z)) and not all(total((*x, u)) <= total((*y, u)) for u in values):
+            for z, u in product(values, repeat=2):
+                if total((z,)) <= total((u,)) and total((*x, z)) <= total((*y, z)) and total((*x, u)) > total((*y, u)):
                     return False
     return True
 

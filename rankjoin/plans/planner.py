@@ -45,7 +45,9 @@ class RankedPlan:
 
 
 def _starlike(tree: JoinTree) -> bool:
-    return max(map(tree.depth, range(len(tree.bags)))) <= 1
+    """All atoms meet in variables of the root."""
+    top = set(tree.bags[tree.root])
+    return all(set(tree.key(i)) <= top for i in range(len(tree.bags)))
 
 
 def plan(q: ConjunctiveQuery, relations: dict[str, DataFrame], k: int | None, *, ranking: Ranking = SUM, count: bool = False) -> RankedPlan:
