@@ -14,6 +14,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rankjoin.functions.ranking import SUM, Ranking
+from rankjoin.sources.shared import settled
 
 
 def shortest(edges: DataFrame, target: Any, *, ranking: Ranking = SUM, rounds: int = 64) -> DataFrame:
@@ -26,7 +27,8 @@ def shortest(edges: DataFrame, target: Any, *, ranking: Ranking = SUM, rounds: i
     front, state = known, None
     for _ in range(rounds):
         step = edges.join(front, edges["dst"] == front["node"]).select(F.col("src").alias("node"), ranking.combine(F.col("w"), F.col("best")).alias("best"))
-        known = known.union(step).groupBy("node").agg(ranking.best(F.col("best")).alias("best")).checkpoint()
+        known = known.union(step).groupBy("node").agg(ranking.best(F.col("best")).alias("best"))
+        known = settled(known, "paths")
         new = known.agg(F.count("*"), F.sum(F.xxhash64("node", "best").cast("decimal(38,0)"))).first()
         if new == state:
             return known

@@ -215,8 +215,11 @@ from rankjoin.operators import relational  # noqa: E402
 for _n in relational.QUERIES:
     _add(f"rel_{_n}", relational.QUERIES[_n], relational.SQL[_n])
 
+import pandas as pd  # noqa: E402
+
 from rankjoin import measure, workloads  # noqa: E402
 from rankjoin.operators import paths  # noqa: E402
+from rankjoin.sources.shared import settled  # noqa: E402
 
 
 def _uniform_sql(j: int, rows: int, domain: int) -> str:
@@ -248,10 +251,8 @@ for _start, _make in ((13, cq.path), (17, cq.star), (21, cq.branch)):
         _rows, _domain = workloads.FULL[_atoms]
         _withs = ", ".join(f"R{j} as ({_uniform_sql(j, _rows, _domain)})" for j in range(1, _atoms + 1))
         _W_SQL[f"W{_start + _i}"] = _plain_sql(workloads._numbered(_make(_atoms)), _withs, None)
-_W_SQL["W25"] = _plain_sql(cq.path(4), f"G as ({graphs.SQL['basket']}), E as (select * from G where a < 40 and b < 40)", None)
-_W_SQL["W26"] = _plain_sql(cq.star(4), f"G as ({graphs.SQL['basket']}), E as (select * from G where a < 40 and b < 40)", None)
-_W_SQL["W27"] = _plain_sql(cq.path(4), f"G as ({graphs.SQL['event']}), E as (select * from G where a < 14 and b < 14)", None)
-_W_SQL["W28"] = _plain_sql(cq.star(3), f"G as ({graphs.SQL['event']}), E as (select * from G where a < 14 and b < 14)", None)
+for _name, (_query, _names, _) in workloads.REAL.items():
+    _W_SQL[_name] = sql(_query, _names, None)
 _SLICE = ", ".join(f"r{i} as (select p_partkey as x{i}, cast(round(p_retailprice * 100) as bigint) as w{i} from part where p_partkey between {10 * i} and {10 * i} + %d)" for i in range(3))
 for _name, _n in (("W38", 3), ("W48", 9)):
     _W_SQL[_name] = "with " + _SLICE % (_n, _n, _n) + " select x0, x1, x2, w0 + w1 + w2 as w, cast(row_number() over (order by w0 + w1 + w2, x0, x1, x2) as bigint) as rank from r0, r1, r2"
@@ -266,29 +267,28 @@ for _n, _run in workloads.WORKLOADS.items():
 
 
 def _walks(spark: SparkSession, d: str, method: str) -> DataFrame:
-    """The 50 lightest paths of at most any length from node 0 to node 99 of an acyclic part of the basket graph, in one process."""
-    rows = graphs.basket(spark, d).where("a < b and b < 100").orderBy("a", "b").collect()  # 100 nodes bound it
-    out = []
-    for n, (w, nodes) in enumerate(paths.iterate([(r.a, r.b, r.w) for r in rows], 0, 99, method=method), 1):
-        out.append((n, int(w)))
-        if n == 50:
-            break
-    return spark.createDataFrame(out, "rank bigint, w bigint")
+    """The 50 lightest paths of any length from the first to the last node of the basket graph's ascending edges.
+
+    One task holds the graph, as these methods walk it node by node.
+    """
+    edges = graphs.basket(spark, d).where("a < b")
+
+    def best(frames):
+        rows = [(int(a), int(b), int(w)) for f in frames for a, b, w in zip(f["a"], f["b"], f["w"], strict=True)]
+        found = paths.iterate(rows, min(a for a, _, _ in rows), max(b for _, b, _ in rows), method=method) if rows else iter(())
+        yield pd.DataFrame([(n, int(w)) for n, (w, _) in zip(range(1, 51), found, strict=False)], columns=["rank", "w"])
+
+    return edges.repartition(1).sortWithinPartitions("a", "b").mapInPandas(best, "rank bigint, w bigint")
 
 
-_WALK_SQL = f"with recursive G as ({graphs.SQL['basket']}), E as (select * from G where a < b and b < 100), p(node, w) as (select 0::bigint, 0::bigint union all select E.b, p.w + E.w from p join E on p.node = E.a where p.w < 2000000) select cast(row_number() over (order by w) as bigint) as rank, w from (select w from p where node = 99 order by w limit 50)"
 for _m in ("recurse", "deviate", "implicit"):
     _add(f"dag_paths_{_m}", lambda s, d, m=_m: _walks(s, d, m))
 
 
 def _dag_best(spark: SparkSession, d: str) -> DataFrame:
-    """Lightest path to node 99 from every node of the acyclic part, by sweeps."""
-    e = graphs.basket(spark, d).where("a < b and b < 100").select(F.col("a").alias("src"), F.col("b").alias("dst"), "w")
-    return paths.shortest(e, 99)
-
-
-def _layered(spark: SparkSession, d: str):
-    return engine.stages_of(cq.path(3), relations(spark, d, _BASKET))
+    """Lightest path to the last node from every node of the basket graph's ascending edges, by sweeps."""
+    e = graphs.basket(spark, d).where("a < b").select(F.col("a").alias("src"), F.col("b").alias("dst"), "w")
+    return paths.shortest(settled(e, "dag"), e.agg(F.max("dst")).first()[0])
 
 
 def _threshold(spark: SparkSession, d: str) -> DataFrame:
@@ -306,8 +306,7 @@ def load_customers(spark: SparkSession, d: str) -> DataFrame:
     return c.join(per, "c", "left").select("c", F.col("w").alias("balance"), F.coalesce("orders", F.lit(0)).alias("orders"), F.coalesce("spent", F.lit(0)).alias("spent"))
 
 
-_add("dag_best_by_sweeps", _dag_best, f"with recursive G as ({graphs.SQL['basket']}), E as (select * from G where a < b and b < 100), p(node, w) as (select 99::bigint, 0::bigint union select E.a, p.w + E.w from p join E on p.node = E.b where p.w < 1500000) select node, min(w) as best from p group by node")
-ORACLE_SQL.pop("dag_best_by_sweeps")  # the recursion lists every path; tests hold it against brute force
+_add("dag_best_by_sweeps", _dag_best)
 _add("threshold_median", _threshold, f"with C as ({graphs.SQL['customer_nation']}), O as ({graphs.SQL['customer_orders']}), p as (select c, count(*) as orders, sum(w) as spent from O group by c), v as (select C.c, w as balance, coalesce(orders, 0) as orders, coalesce(spent, 0) as spent from C left join p on C.c = p.c where n = 7), m as (select c, cast(balance + orders + spent - greatest(balance, orders, spent) - least(balance, orders, spent) as bigint) as w from v) select cast(row_number() over (order by w, c) as bigint) as rank, w, c from (select * from m order by w, c limit 5)")
 _add("graph_size_hubs", lambda s, d: measure.graph_size([graphs.basket(s, d).select(F.col("a").alias("x0"), F.col("b").alias("x1")), graphs.basket(s, d).select(F.col("a").alias("x1"), F.col("b").alias("x2"))], [("x1",)]), f"with E as ({graphs.SQL['basket']}), l as (select b as k, count(*) as l from E group by b), r as (select a as k, count(*) as r from E group by a) select count(*) as hubs, cast(sum(l + r) as bigint) as hub_edges, cast(sum(l * r) as bigint) as pair_edges from l join r on l.k = r.k")
 _add("graph_stats_basket", lambda s, d: measure.graph_stats(graphs.basket(s, d)), f"with E as ({graphs.SQL['basket']}), n as (select a as n from E union all select b from E), g as (select n, count(*) as d from n group by n) select cast(sum(d) / 2 as bigint) as edges, count(*) as nodes, avg(d) as mean_degree, max(d) as max_degree from g")

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from rankjoin.sources.shared import settled
 from rankjoin.sources.tables import cents, load
 
 
@@ -39,10 +40,10 @@ def pagerank(edges: DataFrame, *, rounds: int = 10, damping: float = 0.85, scale
     Every share is rounded down, so sums do not depend on their order. Dangling weight is lost.
     """
     e = edges.select("a", "b").distinct()
-    nodes = e.select(F.col("a").alias("node")).union(e.select("b")).distinct()
+    nodes = settled(e.select(F.col("a").alias("node")).union(e.select("b")).distinct(), "nodes")
     n = nodes.count()
     degree = e.groupBy("a").agg(F.count("*").alias("deg"))
-    links = e.join(degree, "a").persist()
+    links = settled(e.join(degree, "a"), "links")
     base = int((1 - damping) * scale * 1000) // max(1, n)
     ranks = nodes.withColumn("r", F.lit(scale * 1000 // max(1, n)).cast("bigint"))
     per_mille = int(damping * 1000)
@@ -50,7 +51,7 @@ def pagerank(edges: DataFrame, *, rounds: int = 10, damping: float = 0.85, scale
         got = links.join(ranks, F.col("a") == F.col("node")).groupBy(F.col("b").alias("_n")).agg(F.sum(F.expr("r div deg")).alias("s"))
         ranks = nodes.join(got, F.col("node") == F.col("_n"), "left").select("node", (F.lit(base) + F.expr(f"coalesce(s, 0) * {per_mille} div 1000")).cast("bigint").alias("r"))
         if i % 5 == 4:
-            ranks = ranks.persist()
+            ranks = settled(ranks, "ranks")
     return ranks.select("node", F.expr("r div 1000").alias("rank"))
 
 
@@ -58,7 +59,7 @@ def with_pagerank(edges: DataFrame, *, bipartite: bool = False) -> DataFrame:
     """The same edges, weighted by the ranks of both ends."""
     e = edges.select(F.col("a").cast("string").alias("a"), (F.concat(F.lit("-"), F.col("b")) if bipartite else F.col("b").cast("string")).alias("b"))
     back = e.union(e.select("b", "a")) if bipartite else e
-    ranks = pagerank(back).persist()
+    ranks = settled(pagerank(back), "pagerank")
     out = e.join(ranks.select(F.col("node").alias("a"), F.col("rank").alias("ra")), "a").join(ranks.select(F.col("node").alias("b"), F.col("rank").alias("rb")), "b")
     plain = F.expr("substring(b, 2)") if bipartite else F.col("b")
     return out.select(F.col("a").cast("bigint").alias("a"), plain.cast("bigint").alias("b"), (F.col("ra") + F.col("rb")).alias("w"))
