@@ -69,7 +69,7 @@ class WaveletMatrix:
             ones = np.bitwise_count(padded.view(np.uint64)).reshape(-1, BLOCK // 64).sum(1)
             ranks.append(np.concatenate([[0], ones.cumsum()]).astype(np.uint32))
             planes.append(padded)
-            low, high = np.compress(~bit, ids), np.compress(bit, ids)
+            low, high = ids.take(np.flatnonzero(~bit)), ids.take(np.flatnonzero(bit))
             zeros.append(len(low))
             ids = np.concatenate([low, high])
         return cls(n, zeros, planes, ranks)
@@ -148,8 +148,8 @@ class WaveletMatrix:
         for level in range(depth - 1, -1, -1):
             bit = np.unpackbits(self.planes[level], count=self.n, bitorder="little").view(bool)
             z, up = self.zeros[level], np.empty_like(out)
-            np.place(up, ~bit, out[:z])
-            np.place(up, bit, out[z:] | out.dtype.type(1 << (depth - 1 - level)))
+            up[np.flatnonzero(~bit)] = out[:z]
+            up[np.flatnonzero(bit)] = out[z:] | out.dtype.type(1 << (depth - 1 - level))
             out = up
         return out
 
