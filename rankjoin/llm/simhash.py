@@ -31,15 +31,13 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from rankjoin.llm.common import free_name, runs, table, written
+from rankjoin.llm.common import runs, table, written
 from rankjoin.llm.components import components
 
 BITS = 2
 SEED = 42
 BUCKET = 32
 BATCH_BYTES = 2_000_000
-#: Largest number of ids that is broadcast; beyond it the join shuffles.
-BROADCAST_IDS = 2_000_000
 
 
 def hashes(text: bytes, size: int) -> list[int]:
@@ -127,24 +125,10 @@ def hex_of(fp: Column) -> Column:
 
 
 def keep_one(docs: DataFrame, *, size: int) -> DataFrame:
-    """One document of each group of near-duplicates: the one with the smallest doc_id.
-
-    Rows that share that doc_id count as one document: of these, the row whose other
-    columns come first stays. A group of null ids alone keeps all its rows, as none can be named.
-    """
-    out = near_duplicates(docs, size=size)
-    gone = written(out.where(F.col("doc_id") != F.col("component_id")).select(F.col("doc_id").alias("_gone")).distinct(), "gone")
-    (key,) = free_name(docs, "_gone")
-    gone = gone.withColumnRenamed("_gone", key)
-    kept = docs.join(F.broadcast(gone) if gone.count() <= BROADCAST_IDS else gone, F.col("doc_id") == F.col(key), "left_anti")
-    nulls = out.where("doc_id is null and component_id is not null").limit(1).count()
-    kept = kept.where("doc_id is not null") if nulls else kept
-    twice = docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count()
-    if not twice:
-        return kept.select(*docs.columns)
-    (n,) = free_name(docs, "_n")
-    order = Window.partitionBy(F.coalesce(F.col("doc_id").cast("string"), F.uuid())).orderBy(*docs.columns)
-    return kept.withColumn(n, F.row_number().over(order)).where(F.col(n) == 1).select(*docs.columns)
+    """One row of each group of near-duplicates (see near.keep_one, which takes fingerprints from here)."""
+    from rankjoin.llm.near import keep_one
+
+    return keep_one(docs, size=size)
 
 
 def op6_simhash(spark, sf_dir: str) -> DataFrame:

@@ -155,6 +155,56 @@ def test_keep_one_of_each_group(spark):
     assert simhash.keep_one(df.limit(0), size=5).count() == 0
 
 
+def _shingles(text: str) -> frozenset:
+    w = text.lower().split()
+    return frozenset(" ".join(w[i : i + 5]) for i in range(max(1, len(w) - 4))) if w else frozenset()
+
+
+def _groups_by_brute_force(texts: list[str]) -> list[int]:
+    """The first row of each row's group: components of pairs with a Jaccard similarity of 0.8 or more."""
+    sets, root = [_shingles(t or "") for t in texts], list(range(len(texts)))
+
+    def find(x: int) -> int:
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for i, s in enumerate(sets):
+        for j in range(i):
+            if s == sets[j] or 5 * len(s & sets[j]) >= 4 * len(s | sets[j]) > 0:
+                x, y = find(i), find(j)
+                root[max(x, y)] = min(x, y)
+    return [find(i) for i in range(len(texts))]
+
+
+def test_near_copies_against_brute_force(spark):
+    pick, texts = random.Random(8), []
+    passage = [f"license{i}" for i in range(60)]
+    for g in range(25):
+        base = [f"g{g}w{i}" for i in range(pick.randint(3, 120))]
+        for _ in range(pick.randint(1, 4)):
+            w = list(base)
+            for _ in range(pick.randint(0, 4)):
+                w[pick.randrange(len(w))] = f"x{pick.randrange(10**6)}"
+            texts.append(" ".join(w + [f"end{i}" for i in range(pick.randint(0, 12))] * (pick.random() < 0.3)))
+    for g in range(60):  # a common passage: most of the text of some, one group of others
+        own = [f"own{g}x{i}" for i in range(pick.randint(0, 40))]
+        texts.append(" ".join(own + passage))
+    pick.shuffle(texts)
+    roots = _groups_by_brute_force(texts)
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    kept = {r.doc_id for r in simhash.keep_one(df, size=5).collect()}
+    assert kept == set(roots) and len(kept) < len(texts) - 10
+
+
+def test_keep_one_decides_by_row(spark):
+    text, other, third = (" ".join(f"{x}{i}" for i in range(60)) for x in "abc")
+    rows = [(1, text), (None, text), (None, other), (None, None), (5, text), (5, third), (5, third), (None, other)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    out = sorted(((r.doc_id or 0, r.text or "") for r in simhash.keep_one(df, size=5).collect()))
+    assert out == sorted([(1, text), (0, other), (0, ""), (5, third)])
+
+
 def test_neighbours(spark):
     rng = np.random.default_rng(0)
     v = rng.normal(size=(400, 16)).astype(np.float32)
