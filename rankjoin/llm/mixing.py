@@ -160,8 +160,21 @@ class Mix:
         out = rows.join(F.broadcast(to) if few else to, [sid, block]).where(~F.col(part) | (_second(F.col(key)) <= F.col(cut)))
         return out.repartition(F.col(shard)).sortWithinPartitions(shard, F.xxhash64(F.lit(self.seed + 1), F.col(key), F.col(turn))).select(*docs.columns)
 
+    def counted(self, docs: DataFrame) -> DataFrame:
+        """doc_id, size, source_size, target, copies of every row, counted in the written mix of docs.
+
+        Rows of one source with equal doc_id and text are drawn together, so each has its share of their copies.
+        """
+        mix = written(self.mixed(docs), "mix")
+        sids = ["key", "sid"]
+        drawn = self.placed(mix.select("source", _key(self.seed).alias("key"))).groupBy(*sids).agg(F.count("*").alias("drawn"))
+        rows = self.placed(self.sizes)
+        per = rows.groupBy(*sids).agg(F.count("*").alias("same")).join(drawn, sids).select(*sids, F.expr("drawn div same").alias("copies"))
+        return rows.join(per, sids, "left").select("doc_id", "size", "source_size", "target", F.coalesce("copies", F.lit(0)).cast("long").alias("copies"))
+
 
 def op10_source_mix(spark, sf_dir: str) -> DataFrame:
-    """How many words of every document the mix takes."""
-    mix = Mix(table(spark, sf_dir, "documents").select("doc_id", "text", "source"))
-    return mix.taken().select("doc_id", "size", "source_size", "target", (F.col("size") * F.col("copies")).alias("taken"))
+    """How many words of every document the mix takes, counted in the mix itself."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "source")
+    mix = Mix(docs)
+    return mix.counted(docs).select("doc_id", "size", "source_size", "target", (F.col("size") * F.col("copies")).alias("taken"))

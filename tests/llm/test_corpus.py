@@ -270,6 +270,18 @@ def test_mix(spark):
     assert mixing.Mix(df.limit(0)).taken().count() == 0
 
 
+def test_source_mix_counts_the_mix_itself(spark, sf, monkeypatch):
+    twice = spark.createDataFrame([(1, "a b", "x"), (1, "a b", "x"), (1, "a b", None), (2, None, "y")], "doc_id long, text string, source string")
+    mix = mixing.Mix(twice)
+    assert sorted(map(str, mix.counted(twice).collect())) == sorted(map(str, mix.taken().collect()))
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    want = {r.doc_id: r["size"] * r.copies for r in mixing.Mix(docs).taken().collect()}
+    assert {r.doc_id: r.taken for r in mixing.op10_source_mix(spark, sf).collect()} == want
+    whole = mixing.Mix.assigned
+    monkeypatch.setattr(mixing.Mix, "assigned", lambda self, *a: whole(self, *a).limit(0))  # a broken tree shows
+    assert {r.taken for r in mixing.op10_source_mix(spark, sf).collect()} == {0}
+
+
 PAGES = [
     ("<html><body><nav>x</nav><article><h1>T &amp; t</h1><p>a<br>b<p>c &lt;d&gt;<aside>no</aside></article><footer>f</footer>", "T & t\n\na b\n\nc <d>"),
     ('<div class="sidebar">s</div><div id="content"><p>one  two</p>\n<p>three</p></div><section id="comments"><p>first!</p></section>', "one two\n\nthree"),
