@@ -309,6 +309,25 @@ def test_template_texts_go(spark):
         assert r.text == f"{('first part of story %d ' % r.page_id * 4).strip()}\n\nsecond {r.page_id ** 2}"
 
 
+def _texts_of_a_host(spark, page: str, *of) -> list[str]:
+    rows = [(i, f"https://one.example/{i}", page.format(*(f(i) for f in of))) for i in range(6)]
+    out = html.main_texts(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+    return [r.text for r in sorted(out, key=lambda r: r.page_id)]
+
+
+def test_template_texts_go_inside_articles_too(spark):
+    page = '<html><body><article><h1>{}</h1><p>Brought to you by us</p><h2 id="search-results">{}</h2><section id="related-work"><p>{}</p></section></article></body></html>'
+    got = _texts_of_a_host(spark, page, "title {}".format, "found {}".format, "other {}".format)
+    assert got == [f"title {i}\n\nfound {i}\n\nother {i}" for i in range(6)]
+
+
+def test_all_slots_stay_without_an_article(spark):
+    got = _texts_of_a_host(spark, "<html><body><div><h1>{}</h1><p>{}</p></div></body></html>", "title {}".format, lambda i: f"long text {i} " * 9)
+    assert got == [f"title {i}\n\n{(f'long text {i} ' * 9).strip()}" for i in range(6)]
+    got = _texts_of_a_host(spark, '<html><body><div class="x"><p>{}</p></div><div class="y"><p>{}</p></div></body></html>', lambda i: f"long text {i} " * 9, "rest {}".format)
+    assert got == [f"{(f'long text {i} ' * 9).strip()}\n\nrest {i}" for i in range(6)]
+
+
 def test_pipeline_stages(spark, sf):
     import corpus_pipeline as pipeline
 
