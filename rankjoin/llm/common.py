@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 import uuid
 from collections.abc import Iterable, Iterator
 
@@ -80,3 +81,39 @@ def runs(sizes: Iterable[int], most: int) -> Iterator[tuple[int, int]]:
         total += size
     if i >= start:
         yield start, i + 1
+
+
+def hot(counts: DataFrame, share: float = 1e-4) -> DataFrame:
+    """Of counts (keys and n), the keys that hold more than `share` of all n: 1 / share keys at most, so they can be broadcast."""
+    total = counts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    return counts.where(F.col("n") > math.ceil(total * share))
+
+
+def few(df: DataFrame, most: int) -> DataFrame:
+    """df marked for broadcast if it has `most` rows at most (counted); beyond that joins shuffle it."""
+    return F.broadcast(df) if df.count() <= most else df
+
+
+def join_uneven(rows: DataFrame, known: DataFrame, key: str, n: str) -> DataFrame:
+    """rows left-joined with known (a row per key, n: how many rows have it) on a key that some rows may crowd.
+
+    Rows of crowded keys meet a broadcast of those keys where they are; only the others are shuffled.
+    """
+    known = written(known, "keys")
+    crowded = F.broadcast(hot(known.select(F.col(key).alias("_key"), F.col(n).alias("n"))).select("_key"))
+    marked = rows.join(crowded, rows[key] == F.col("_key"), "left")
+    there = F.broadcast(known.join(crowded, known[key] == F.col("_key"), "left_semi"))
+    return marked.where("_key is not null").drop("_key").join(there, key, "left").unionByName(marked.where("_key is null").drop("_key").join(known, key, "left"))
+
+
+def block_pairs(rows: DataFrame, key: str, item: str, block: int, most: int = 1_000_000) -> DataFrame:
+    """Rows of crowded keys dealt to tasks of two blocks each: a group per key, _i and _j that holds about 2 * block rows.
+
+    Every two rows of a key meet in one group, so a key with m rows is copied m / block
+    times, and no task holds more than two blocks. _i <= _j; _own is a row's block.
+    Up to `most` keys are broadcast.
+    """
+    many = rows.groupBy(key).agg(F.ceil(F.count("*") / block).cast("int").alias("_n"))
+    own = rows.join(few(written(many, "crowded"), most), key).withColumn("_own", F.pmod(F.xxhash64(F.lit(block), item), F.col("_n")).cast("int"))
+    other = F.explode(F.sequence(F.lit(0), F.col("_n") - 1))
+    return own.withColumn("_with", other).withColumns({"_i": F.least("_own", "_with"), "_j": F.greatest("_own", "_with")}).drop("_n", "_with")

@@ -7,8 +7,11 @@ of their n shingles in any order that is the same for all. The order is by how
 often a shingle's cell of a sketch was met, then by hash, so common passages come last; the sketch
 sets the cost only. Every candidate is verified by its exact similarity.
 
-Of a shingle that more than `BUCKET` sets share, each set is first compared with one of them;
-only sets that are still in different components are then paired.
+Of a shingle that more than `BUCKET` sets share, each set is first compared with one of them.
+Sets that are still in different components then meet block by block: a task compares the
+odd sketches (the parity of the shingles in each of `SKETCH` cells) of two blocks of `BLOCK` sets, and only pairs
+that can be similar leave it: sketches never differ in more cells than sets in shingles. Shingles
+shared by the same sets count once.
 
 Groups are connected components. The row with the smallest doc_id stays (null last; ties by
 two hashes of the row, of equal rows one). Null texts are empty; texts without words are equal.
@@ -26,17 +29,18 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rankjoin.llm import simhash
-from rankjoin.llm.common import free_name, runs, written
+from rankjoin.llm.common import block_pairs, few, free_name, runs, written
 from rankjoin.llm.components import components
 
 BUCKET = 32
+SKETCH, BLOCK = 1024, 128
 CELLS, HOT_CELLS = 1 << 20, 1 << 16
 #: Largest number of keys that is broadcast; beyond it the join shuffles.
 BROADCAST_IDS = 1_000_000
 
 
 def _few(df: DataFrame) -> DataFrame:
-    return F.broadcast(df) if df.count() <= BROADCAST_IDS else df
+    return few(df, BROADCAST_IDS)
 
 
 def _node(shingles: np.ndarray) -> int:
@@ -55,11 +59,16 @@ def _set(hashes: list[int]) -> np.ndarray:
     return np.unique(np.array(hashes, np.uint64))
 
 
+def _odd(shingles: np.ndarray) -> bytes:
+    """Which cells hold an odd number of the shingles."""
+    return np.packbits(np.bincount((shingles >> np.uint64(32)).astype(np.int64) & (SKETCH - 1), minlength=SKETCH) & 1).tobytes()
+
+
 def _rows(keyed: DataFrame, size: int) -> DataFrame:
-    """a, b, doc_id, node, fp, cell, times: a row per row of keyed, and rows of the sketch (with a cell)."""
+    """a, b, doc_id, node, fp, odd, cell, times: a row per row of keyed, and rows of the counts (with a cell)."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cells, names = np.zeros(CELLS, np.int64), ["a", "b", "doc_id", "node", "fp", "cell", "times"]
+        cells, names = np.zeros(CELLS, np.int64), ["a", "b", "doc_id", "node", "fp", "odd", "cell", "times"]
         kind = pa.int64()
         for batch in batches:
             kind = batch.column(2).type
@@ -68,12 +77,12 @@ def _rows(keyed: DataFrame, size: int) -> DataFrame:
                 sets = [_set(x) for x in each]
                 cells += np.bincount(np.concatenate(sets).astype(np.int64) & (CELLS - 1), minlength=CELLS)
                 nodes, none = np.array([_node(x) for x in sets], np.uint64).view(np.int64), pa.nulls(len(sets), pa.int64())
-                yield pa.RecordBatch.from_arrays([*(batch.column(i).slice(at, len(sets)) for i in range(3)), pa.array(nodes), pa.array(simhash.majority(each).view(np.int64)), none, none], names=names)
+                yield pa.RecordBatch.from_arrays([*(batch.column(i).slice(at, len(sets)) for i in range(3)), pa.array(nodes), pa.array(simhash.majority(each).view(np.int64)), pa.array(map(_odd, sets), pa.binary()), none, none], names=names)
         hot = np.flatnonzero(cells >= 8 + 4 * cells.sum() / CELLS)
         none = pa.nulls(len(hot), pa.int64())
-        yield pa.RecordBatch.from_arrays([none, none, pa.nulls(len(hot), kind), none, none, pa.array(hot), pa.array(cells[hot])], names=names)
+        yield pa.RecordBatch.from_arrays([none, none, pa.nulls(len(hot), kind), none, none, pa.nulls(len(hot), pa.binary()), pa.array(hot), pa.array(cells[hot])], names=names)
 
-    return keyed.mapInArrow(work, f"a long, b long, doc_id {keyed.schema['doc_id'].dataType.simpleString()}, node long, fp long, cell long, times long")
+    return keyed.mapInArrow(work, f"a long, b long, doc_id {keyed.schema['doc_id'].dataType.simpleString()}, node long, fp long, odd binary, cell long, times long")
 
 
 def _prefixes(keyed: DataFrame, size: int, hot: np.ndarray) -> DataFrame:
@@ -148,17 +157,40 @@ def groups(keyed: DataFrame, size: int) -> tuple[DataFrame, DataFrame]:
     links = similar(keyed, rows, by_bits.union(same).union(light).union(led), size)
     roots = written(components(links), "roots")
     # What the leaders of crowded shingles left in different components.
-    apart = heavy.select("h", "node", "n").join(_few(roots), "node", "left").withColumn("root", F.coalesce("root", "node"))
-    split = apart.groupBy("h").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x < y").select("h")
-    apart = written(apart.join(split, "h", "left_semi"), "apart")
+    apart = written(heavy.select("h", "node", "n").join(_few(roots), "node", "left").withColumn("root", F.coalesce("root", "node")), "apart")
+    who = [F.count("*").alias("many"), F.sum(F.xxhash64(F.lit(1), "node").cast("decimal(38,0)")).alias("x"), F.bit_xor(F.xxhash64(F.lit(2), "node")).alias("y")]
+    split = apart.groupBy("h").agg(F.min("root").alias("low"), F.max("root").alias("high"), *who).where("low < high")
+    split = split.groupBy("many", "x", "y").agg(F.min("h").alias("h")).select("h")
+    apart = written(apart.join(_few(written(split, "split")), "h", "left_semi"), "apart")
     if apart.isEmpty():
         return rows, roots
-    pairs = apart.select("h", F.col("node").alias("u"), "n", F.col("root").alias("ru"))
-    others = apart.select("h", F.col("node").alias("v"), F.col("n").alias("m"), F.col("root").alias("rv"))
-    more = similar(keyed, rows, pairs.join(others, "h").where(f"u < v and ru <> rv and {_lengths_fit('n', 'm')}").select("u", "v"), size)
+    nodes = written(apart.select("node").distinct(), "nodes")
+    sketches = rows.select("node", "odd").join(_few(nodes), "node", "left_semi").groupBy("node").agg(F.any_value("odd").alias("odd"))
+    more = similar(keyed, rows, _close(apart, _few(written(sketches, "sketches"))), size)
     return rows, written(components(links.union(more)), "roots")
 
 
+def _close(apart: DataFrame, sketches: DataFrame) -> DataFrame:
+    """u, v: the nodes under one h, of different roots, that can be similar by their sizes and sketches.
+
+    apart: h, node, n, root. sketches: node, odd.
+    """
+
+    def work(t: pa.Table) -> pa.Table:
+        own, node, n, root = (t.column(c).to_numpy() for c in ("_own", "node", "n", "root"))
+        odd = np.frombuffer(b"".join(t.column("odd").to_pylist()), np.uint64).reshape(len(own), -1)
+        left, right = np.flatnonzero(own == t.column("_i")[0].as_py()), np.flatnonzero(own == t.column("_j")[0].as_py())
+        u, v = [node[:0]], [node[:0]]
+        for i in left:
+            j = right[(root[right] != root[i]) & (5 * np.minimum(n[right], n[i]) >= 4 * np.maximum(n[right], n[i]))]
+            j = j[9 * np.bitwise_count(odd[j] ^ odd[i]).sum(1, dtype=np.int64) <= n[j] + n[i]]
+            u.append(np.full(len(j), node[i]))
+            v.append(node[j])
+        return pa.table({"u": np.concatenate(u), "v": np.concatenate(v)})
+
+    return block_pairs(apart, "h", "node", BLOCK).join(sketches, "node").groupBy("h", "_i", "_j").applyInArrow(work, "u long, v long")
+
+
 def keep_one(docs: DataFrame, *, size: int) -> DataFrame:
     """One row of each group of near-duplicates."""
     a, b = free_name(docs, "_a", "_b")
