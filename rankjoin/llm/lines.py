@@ -12,7 +12,8 @@ Before the texts are fetched, a sketch of 16 counters (code points by class, mod
 16) drops pairs that cannot be linked: an edit changes two counters by one at most. A key
 shared by more than `BUCKET` lines is not paired but keyed again by the sketch: of five groups
 of counters, 2 * EDITS = 4 changes leave one equal, so lines meet under one of five finer keys.
-Copies of a line are one line before all this.
+A finer key that still holds over `CROWD` lines is cut into blocks, and every two blocks meet in
+a task of their own. Copies of a line are one line before all this.
 
 Lines of one class (linked, directly or by others) keep their first occurrence
 by (doc_id, row hash, line number); all later occurrences are dropped. Lines without a word stay.
@@ -32,12 +33,13 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rankjoin.llm.common import SPACE_CHARS, free_name, let, runs, table, written
+from rankjoin.llm.common import SPACE_CHARS, block_pairs, few, free_name, join_uneven, let, runs, table, written
 from rankjoin.llm.components import components
 
 EDITS = 2
 MIN_CHARS = 24
 BUCKET = 64
+CROWD, BLOCK = 2048, 512
 BATCH_BYTES = 2_000_000
 SEEN = 500_000
 #: Largest number of rows of ids that is broadcast; beyond it the join shuffles.
@@ -231,6 +233,25 @@ def _pairs(rows: DataFrame, edits: int, bucket: int | None) -> DataFrame:
     return ordered.mapInArrow(work, "heavy boolean, a long, b long, sketch long, own boolean")
 
 
+def _crowded_pairs(rows: DataFrame, edits: int) -> DataFrame:
+    """As the pairs of `_pairs`, of keys that one task is not to hold."""
+
+    def met(t: pa.Table) -> pa.Table:
+        mine, line, sketch, own = (t.column(c).to_numpy() for c in ("_own", "line", "sketch", "own"))
+        sketch = sketch.view(np.uint64)
+        left, right = np.flatnonzero(mine == t.column("_i")[0].as_py()), np.flatnonzero(mine == t.column("_j")[0].as_py())
+        a, b = [line[:0]], [line[:0]]
+        for i in left:
+            j = right[(own[right] | own[i]) & (line[right] != line[i])]
+            j = j[_apart(sketch[j], np.broadcast_to(sketch[i], j.shape)) <= 2 * edits]
+            a.append(np.minimum(line[j], line[i]))
+            b.append(np.maximum(line[j], line[i]))
+        return pa.table({"a": np.concatenate(a), "b": np.concatenate(b)})
+
+    once = rows.groupBy("key", "line", "sketch").agg(F.max("own").alias("own"))
+    return block_pairs(once, "key", "line", BLOCK).groupBy("key", "_i", "_j").applyInArrow(met, "a long, b long").distinct()
+
+
 def _lines(text: Column) -> Column:
     """Hash of each line of a text, null where the line has no word."""
     return F.transform(F.split(F.coalesce(text, F.lit("")), "\n"), lambda x: F.when(F.length(F.translate(x, SPACE_CHARS, "")) > 0, F.xxhash64(x)))
@@ -242,11 +263,14 @@ def links(docs: DataFrame, *, edits: int = EDITS, least: int = MIN_CHARS) -> Dat
     heavy = met.where("heavy").select(F.col("a").alias("key"), F.col("b").alias("line"), "sketch", "own").distinct()
     group = F.explode(F.array(*(F.struct(F.lit(k).alias("k"), F.lit(m if m < 2**63 else m - 2**64).alias("mask")) for k, m in enumerate(_MASKS))))
     finer = heavy.withColumn("g", group).select(F.xxhash64("key", "g.k", F.col("sketch").bitwiseAND(F.col("g.mask"))).alias("key"), "line", "sketch", "own")
-    pairs = met.where("not heavy").select("a", "b").union(_pairs(finer, edits, None).select("a", "b")).distinct()
-    pairs = written(pairs, "pairs")
+    finer = written(finer, "finer")
+    crowds = few(written(finer.groupBy("key").count().where(F.col("count") > CROWD).select("key"), "crowds"), BROADCAST_ROWS)
+    pairs = met.where("not heavy").select("a", "b").union(_pairs(finer.join(crowds, "key", "left_anti"), edits, None).select("a", "b"))
+    pairs = pairs.union(_crowded_pairs(finer.join(crowds, "key", "left_semi"), edits))
+    pairs = written(pairs.distinct(), "pairs")
     ids = written(pairs.select("a").union(pairs.select("b")).distinct(), "ids")
     found = docs.select(F.explode(F.split("text", "\n")).alias("text")).withColumn("line", F.xxhash64("text"))
-    found = found.join(F.broadcast(ids) if ids.count() <= BROADCAST_ROWS else ids, F.col("line") == F.col("a"), "left_semi")
+    found = found.join(few(ids, BROADCAST_ROWS), F.col("line") == F.col("a"), "left_semi")
     texts = written(found.groupBy("line").agg(F.min("text").alias("text")), "texts")
     both = pairs.join(texts.select(F.col("line").alias("a"), F.col("text").alias("s")), "a").join(texts.select(F.col("line").alias("b"), F.col("text").alias("t")), "b")
 
@@ -265,13 +289,13 @@ def decide(docs: DataFrame, *, edits: int = EDITS, least: int = MIN_CHARS) -> Da
     degree = pairs.select("u").union(pairs.select("v")).groupBy(F.col("u").alias("node")).agg(F.count("*").alias("degree"))
     named = written(degree.join(components(pairs), "node").select("node", "root", "degree"), "classes")
     at = own.select("doc_id", "row", F.posexplode("lines").alias("at", "line")).where("line is not null")
-    named = F.broadcast(named) if named.count() <= BROADCAST_ROWS else named
-    at = at.join(named, F.col("line") == F.col("node"), "left").select("doc_id", "row", "at", F.coalesce("root", "line").alias("class"), F.coalesce("degree", F.lit(0)).alias("degree"))
-    first = at.groupBy("class").agg(F.min(F.struct("doc_id", "row", "at")).alias("first"), F.count("*").alias("n")).where("n > 1").select(F.col("class").alias("_class"), "first")
-    again = at.join(first, F.col("class") == F.col("_class"), "left")
+    at = at.join(few(named, BROADCAST_ROWS), F.col("line") == F.col("node"), "left").select("doc_id", "row", "at", F.coalesce("root", "line").alias("class"), F.coalesce("degree", F.lit(0)).alias("degree"))
+    first = at.groupBy("class").agg(F.min(F.struct("doc_id", "row", "at")).alias("first"), F.count("*").alias("n")).where("n > 1")
+    again = join_uneven(at, first, "class", "n")
     later = F.col("first").isNotNull() & ~F.col("first").eqNullSafe(F.struct("doc_id", "row", "at"))
-    marked = again.select("row", "degree", F.when(later, F.col("at")).alias("gone")).where("degree > 0 or gone is not null")
-    per = marked.groupBy("row").agg(F.sum("degree").alias("n_links"), F.sort_array(F.collect_set("gone")).alias("dropped")).withColumnRenamed("row", "_row")
+    marked = again.select("row", "degree", "at", F.when(later, F.col("at")).alias("gone")).where("degree > 0 or gone is not null")
+    once = F.expr("sum(degree) * size(collect_set(at)) div count(*)")  # of rows equal in doc_id and text, each line comes as often as they do
+    per = marked.groupBy("row").agg(once.alias("n_links"), F.sort_array(F.collect_set("gone")).alias("dropped")).withColumnRenamed("row", "_row")
     counted = own.select("doc_id", "row", F.size(F.array_compact("lines")).cast("long").alias("n_lines"))
     out = counted.join(per, F.col("row") == F.col("_row"), "left")
     return out.select("doc_id", "row", "n_lines", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("dropped", F.array().cast("array<int>")).alias("dropped"))

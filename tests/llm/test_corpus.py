@@ -10,7 +10,7 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from rankjoin.llm import html, lines, mixing, neighbours, simhash
+from rankjoin.llm import common, html, lines, mixing, neighbours, simhash
 from rankjoin.llm.components import components
 
 
@@ -94,6 +94,30 @@ def test_line_dedup_equals_brute_force(spark):
     assert lines.drop_lines(df.limit(0)).count() == 0
 
 
+def test_line_links_count_different_lines_once_per_document(spark, monkeypatch):
+    monkeypatch.setattr(lines, "BUCKET", 4)
+    monkeypatch.setattr(lines, "CROWD", 6)
+    monkeypatch.setattr(lines, "BLOCK", 5)
+    pick, stem = random.Random(2), "one line that many documents share, but for "
+    every = [stem + "".join(pick.choice("abc") for _ in range(6)) for _ in range(60)]
+    rows = [(d, "\n".join(pick.choice(every) for _ in range(pick.randint(1, 4)))) for d in range(40)]
+    rows += [rows[3], rows[3], (None, every[0]), (None, every[0]), (50, None), (50, ""), (3, every[1])]
+    df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("ROW", F.lit("clash")).repartition(4)
+    used = sorted({x for _, t in rows for x in (t or "").split("\n") if x})
+    near = {a: sum(a != b and lines.within(a, b, 2) for b in used) for a in used}
+    got = sorted((r.doc_id or -1, r.n_lines, r.n_links) for r in lines.decide(df).collect())
+    want = sorted((d or -1, len(x := [y for y in (t or "").split("\n") if y]), sum(near[y] for y in x)) for d, t in rows)
+    assert got == want and sum(near.values()) > 100
+
+
+def test_join_uneven_equals_a_join(spark):
+    rows = spark.range(3000).selectExpr("if(id % 3 = 0, 7, id % 500) as k", "id as v").union(spark.range(5).selectExpr("cast(null as bigint)", "id"))
+    known = rows.groupBy("k").agg(F.count("*").alias("n"), F.min("v").alias("low")).where("n > 1 and k is not null")
+    want = rows.join(known, "k", "left").orderBy("v").collect()
+    assert sorted(map(str, common.join_uneven(rows, known, "k", "n").collect())) == sorted(map(str, want))
+    assert common.join_uneven(rows.limit(0), known.limit(0), "k", "n").count() == 0
+
+
 def _fingerprint(t: str, size: int) -> int:
     w = re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), t))
     if not w:
