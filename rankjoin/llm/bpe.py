@@ -12,6 +12,9 @@ worker, so that the matrices see new pieces only. Pieces over `LONG` bytes
 list instead: a row of length L needs up to L rounds over L columns, which for such
 rows would be quadratic. Both give the same merges.
 
+The classes of letters, numbers and white space in the split pattern are those of the tiktoken library
+(`as_library`), whose Unicode tables may be of another year than the regex module's.
+
 Defined results: a null text is an empty one and gets no ids; rows are encoded one
 by one, so repeated rows get equal ids; all other columns pass through untouched.
 """
@@ -28,6 +31,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 import regex
+import tiktoken
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
@@ -248,6 +252,35 @@ def read_ranks(path: str) -> dict[bytes, int]:
         return {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
 
 
+def _ranges(points: set[int]) -> str:
+    """A set of code points as ranges of a character class."""
+    ordered, out = sorted(points), []
+    for p in ordered:
+        if out and out[-1][1] == p - 1:
+            out[-1][1] = p
+        else:
+            out.append([p, p])
+    return "".join(f"\\U{a:08x}-\\U{b:08x}" for a, b in out)
+
+
+@lru_cache(maxsize=8)
+def as_library(pattern: str) -> str:
+    """The pattern with its classes as the tiktoken library reads them: each one is asked for all code points."""
+    every = "".join(map(chr, (*range(0xD800), *range(0xE000, 0x110000))))
+    single = {bytes([b]): b for b in range(256)}
+    changed = False
+    for name, opposite in ((r"\p{L}", r"\P{L}"), (r"\p{N}", r"\P{N}"), (r"\s", r"\S")):
+        probe = tiktoken.Encoding("probe", pat_str=name, mergeable_ranks=single, special_tokens={})
+        theirs, ours = set(map(ord, probe.decode(probe.encode_ordinary(every)))), set(map(ord, regex.findall(name, every)))
+        less, more = _ranges(ours - theirs), _ranges(theirs - ours)
+        if less or more:
+            own = f"[{name}{f'--[{less}]' if less else ''}]"
+            own = f"[{own}[{more}]]" if more else own
+            pattern = pattern.replace(name, own).replace(opposite, f"[^{own}]")
+            changed = True
+    return f"(?V1){pattern}" if changed else pattern
+
+
 @lru_cache(maxsize=2)
 def encoder(path: str, pattern: str) -> MatrixBpe:
     """The encoder of this process for a vocabulary file that every worker has at `path`."""
@@ -262,6 +295,7 @@ def encode(docs: DataFrame, vocabulary: str, pattern: str, *, digests: bool = Fa
     and of the decoded bytes). Where docs has a column of such a name, the new one
     gets a trailing underscore. only: the columns of docs to keep.
     """
+    pattern = as_library(pattern)
     docs = docs if only is None else docs.select(*only, *(["text"] if "text" not in only else []))
     names = free_name(docs, "n_tokens", *(["ids_sha256", "decoded_sha256"] if digests else ["ids"]))
     kept = docs.columns if only is None else only

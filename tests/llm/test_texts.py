@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import hashlib
 import random
 import re
 import zlib
@@ -35,7 +36,7 @@ def test_bpe_equals_tiktoken(spark):
     out = bpe.encode(df, path, P.PATTERN)
     assert out.columns == ["doc_id", "text", "IDS", "n_tokens", "n_tokens_", "ids_"]
     got = {r.doc_id: r for r in out.collect()}
-    m = bpe.encoder(path, P.PATTERN)
+    m = bpe.encoder(path, bpe.as_library(P.PATTERN))
     for i, t in enumerate(texts):
         ids = ref.encode_ordinary(t or "")
         assert got[i].ids_ == ids and got[i].n_tokens_ == len(ids)
@@ -43,6 +44,29 @@ def test_bpe_equals_tiktoken(spark):
     assert bpe.encode(df.limit(0), path, P.PATTERN).count() == 0
 
 
+def test_split_classes_are_the_librarys():
+    """Every code point beside a letter, a number, a mark, a space and before 's."""
+    path = P.path("byte_bpe_50k.tiktoken")
+    ref = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=bpe.read_ranks(path), special_tokens={})
+    m, points = bpe.encoder(path, bpe.as_library(P.PATTERN)), [c for c in range(0x110000) if not 0xD800 <= c < 0xE000]
+    for start in range(0, len(points), 4096):
+        texts = ["".join(f"a{chr(c)}'s 1{chr(c)}!{chr(c)} {chr(c)}b\n" for c in points[k : k + 8]) for k in range(start, min(start + 4096, len(points)), 8)]
+        for x, t in zip(m.encode(texts), texts, strict=True):
+            assert np.frombuffer(x, "<u4").tolist() == ref.encode_ordinary(t)
+
+
+def test_op1_digests(spark, tmp_path):
+    path = P.path("byte_bpe_50k.tiktoken")
+    ref = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=bpe.read_ranks(path), special_tokens={})
+    texts = nasty(200, 9) + ["", None, "\u0558's \u058b's", "x" * 3000]
+    rows = list(enumerate(texts)) + [(3, texts[3]), (None, "no id")]
+    spark.createDataFrame(rows, "doc_id long, text string").withColumn("IDS_sha256", F.lit(1)).write.parquet(f"{tmp_path}/documents.parquet")
+    got = sorted(map(str, bpe.op1_byte_bpe(spark, str(tmp_path)).collect()))
+    ids = [np.array(ref.encode_ordinary(t or ""), "<u4") for _, t in rows]
+    sha = lambda b: hashlib.sha256(b).hexdigest()
+    assert got == sorted(f"Row(doc_id={d}, n_tokens={len(i)}, ids_sha256='{sha(i.tobytes())}', decoded_sha256='{sha((t or '').encode())}')" for (d, t), i in zip(rows, ids, strict=True))
+
+
 def test_wavelet_matrix():
     a = np.random.default_rng(0).integers(0, 700, 3000)
     m = wavelet.from_file(wavelet.to_file([1], [3000], a))[2]
