@@ -3,10 +3,11 @@
 Rows fall by hash into shards of about `SHARD` vectors. A shard's index is one sorted array per
 projection (columns of random orthonormal bases, so each hash is a single projection). A
 query looks at a window around its own value in every array and counts in how many of them each
-vector lies; virtual rehashing widens all windows by a factor at each level. Vectors whose count exceeds the collision threshold
-are verified by their exact inner product. A query ends in a shard when its k-th best
-vector is nearer than what the windows have surely collected, or when the share `BUDGET` of the
-shard (`LEAST` vectors at least) has been verified.
+vector lies; vectors whose count exceeds the collision threshold are verified by their exact inner product.
+Virtual rehashing widens all windows, by a factor or as far as the best k so far ask for, until
+a vector as near as the k-th best would surely have been counted: the windows are those in which the threshold is
+what to expect at 1 / `SURE` times its distance. Nothing else ends a search, so there is no cap on what is
+verified; in the worst case windows hold the whole shard and the result is exact.
 
 Largest inner product becomes smallest distance by one more coordinate, which fills
 every vector up to the shard's largest norm and is zero in queries. The best k of all shards
@@ -30,16 +31,14 @@ from pyspark.sql.window import Window
 
 from rankjoin.llm.common import table
 
-SHARD = 1 << 16
-BLOCK = 512
-BLOCKS = 64
+SHARD = 1 << 15
+BLOCK = 1024
+BLOCKS = 8
 PROJECTIONS = 128
 #: Share of the projections in which a vector must fall into the window.
 THRESHOLD = 0.6
-FIRST, GROWTH = 1.1, 1.12  # half window at the first level, in standard deviations; factor per level
-BUDGET = 0.08
-LEAST = 1024  # vectors that a query may verify in any shard
-SURE = 0.8
+FIRST, GROWTH = 0.9, 1.12  # half window at the first level, in standard deviations; least factor per level
+SURE = 0.9
 SEED = 7
 _QUANTILE = 0.8416  # half of a normal distribution's middle 60 %, in standard deviations
 
@@ -71,21 +70,19 @@ class CollisionIndex:
         if n <= 2 * k:
             return self._best(np.arange(n), query, own, k)
         at = query @ self.axes[:-1]
-        need, budget, half = math.ceil(THRESHOLD * len(at)), max(BUDGET * n, LEAST) + k, self.width
-        norm = float(query @ query)
+        need, half = math.ceil(THRESHOLD * len(at)), self.width
+        norm, unit = float(query @ query), _QUANTILE / (SURE * math.sqrt(d + 1))
         while True:
             low = [int(s.searchsorted(x - half, "left")) for s, x in zip(self.sorted, at, strict=True)]
             high = [int(s.searchsorted(x + half, "right")) for s, x in zip(self.sorted, at, strict=True)]
             found = np.flatnonzero(self._collisions(low, high) >= need)
-            if len(found) >= budget or len(found) == n:
-                break
-            if len(found) > k:
-                kth = self._best(found, query, own, k)[1][-1]
-                reach = half * math.sqrt(d + 1) / _QUANTILE  # at this distance the threshold is what to expect
-                if self.top + norm - 2 * kth <= (SURE * reach) ** 2:
-                    break
-            half *= GROWTH
-        return self._best(found, query, own, k)
+            enough = half * GROWTH
+            if len(found) > k or len(found) == n:
+                rows, score = self._best(found, query, own, k)
+                enough = unit * math.sqrt(max(self.top + norm - 2 * float(score[-1]), 0.0)) if len(score) == k else math.inf
+                if len(found) == n or enough <= half:
+                    return rows, score
+            half = max(half * GROWTH, enough)
 
     def _collisions(self, low: list[int], high: list[int]) -> np.ndarray:
         """In how many arrays each vector lies within the window [low, high)."""
@@ -108,7 +105,11 @@ class CollisionIndex:
 
     def _best(self, rows: np.ndarray, query: np.ndarray, own: int, k: int) -> tuple[np.ndarray, np.ndarray]:
         rows = rows[self.ids[rows] != own]
-        score = self.vectors[rows] @ query
+        rough = self.vectors[rows] @ query  # rounds by a vector's place, so it only tells who can be among the best
+        if len(rows) > k:
+            slack = 1e-9 * math.sqrt(self.top * float(query @ query))
+            rows = rows[rough >= np.partition(rough, -k)[-k] - slack]
+        score = (self.vectors[rows] * query).sum(1)  # equal vectors, equal scores
         best = np.lexsort((self.ids[rows], -score))[:k]
         return rows[best], score[best]
 
@@ -120,14 +121,14 @@ def usable(vectors: DataFrame, column: str = "embedding") -> DataFrame:
     return vectors.select(F.col("vec_id").cast("long").alias("vec_id"), v.alias("v")).where(F.col("vec_id").isNotNull() & F.forall("v", fine) & F.exists("v", lambda x: x != 0))
 
 
-def nearest(vectors: DataFrame, queries: DataFrame, *, k: int = 20) -> DataFrame:
+def nearest(vectors: DataFrame, queries: DataFrame, *, k: int = 20, exact: bool = False) -> DataFrame:
     """query_id, rank, vec_id, score of each query's k nearest vectors found.
 
-    vectors, queries: vec_id, v as `usable` gives them.
+    vectors, queries: vec_id, v as `usable` gives them. exact: by looking at every vector, to measure recall.
     """
     shards = max(1, -(-vectors.count() // SHARD))
     blocks = min(BLOCKS, max(1, -(-queries.count() // BLOCK)))
-    data = vectors.select(F.size("v").alias("d"), F.pmod(F.xxhash64("vec_id"), F.lit(shards)).cast("int").alias("shard"), "vec_id", "v")
+    data = vectors.select(F.size("v").alias("d"), F.pmod(F.xxhash64("vec_id", "v"), F.lit(shards)).cast("int").alias("shard"), "vec_id", "v")
     data = data.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
     asked = queries.select(F.size("v").alias("d"), F.pmod(F.xxhash64(F.lit(1), "vec_id"), F.lit(blocks)).cast("int").alias("block"), "vec_id", "v")
     asked = asked.withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1))))
@@ -141,7 +142,7 @@ def nearest(vectors: DataFrame, queries: DataFrame, *, k: int = 20) -> DataFrame
         if len(left) and len(right):
             index = CollisionIndex(*arrays(left))
             for own, query in zip(*arrays(right), strict=True):
-                rows, score = index.search(query, int(own), k)
+                rows, score = index._best(np.arange(len(index.ids)), query, int(own), k) if exact else index.search(query, int(own), k)
                 out.append((np.full(len(rows), own), index.ids[rows], score))
         q, i, s = (np.concatenate(x) for x in zip(*out, strict=True)) if out else (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
         return pa.table({"query_id": pa.array(q, pa.int64()), "vec_id": pa.array(i, pa.int64()), "score": pa.array(s, pa.float64())})
@@ -152,6 +153,20 @@ def nearest(vectors: DataFrame, queries: DataFrame, *, k: int = 20) -> DataFrame
     return met.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
+def recall(vectors: DataFrame, queries: DataFrame, *, k: int = 20) -> DataFrame:
+    """One row: queries, and the share of all exact k best scores that the search finds too (equal scores count as equal)."""
+    found, true = (nearest(vectors, queries, k=k, exact=x).select("query_id", "rank", F.col("score").alias(n)) for x, n in ((False, "got"), (True, "best")))
+    tail = Window.partitionBy("query_id")
+    met = true.join(found, ["query_id", "rank"], "left").withColumn("worst", F.min("best").over(tail))
+    return met.agg(F.countDistinct("query_id").alias("queries"), (F.count_if(F.col("got") >= F.col("worst")) / F.count("*")).alias("recall"))
+
+
+def measure_recall(spark, sf_dir: str) -> DataFrame:
+    """Recall of op7_collision_search on its own queries."""
+    vectors = usable(table(spark, sf_dir, "embeddings"))
+    return recall(vectors, vectors.where(F.col("vec_id") % 20 == 0).dropDuplicates(["vec_id"]))
+
+
 def op7_collision_search(spark, sf_dir: str) -> DataFrame:
     """The 20 nearest vectors found for every vector whose id is divisible by 20."""
     vectors = usable(table(spark, sf_dir, "embeddings"))
