@@ -4,8 +4,10 @@ target and the raw corpus, over word and line rules.
 Every word and every pair of neighbouring words falls into one of `buckets`
 hash buckets. Two smoothed multinomials over the buckets are counted: one over the texts
 labelled as trusted, one over all texts. A text's verdict is its mean log ratio
-of the two per n-gram, compared with a fixed threshold: no random numbers, so
-every run gives every document the same verdict.
+of the two per n-gram, compared with a threshold that follows from the two alone: a text goes
+if it is further from the target than the two multinomials are from each other (their
+Jeffreys divergence: the mean ratio of texts drawn from the one less that of texts drawn from
+the other). No random numbers, so every run gives every document the same verdict.
 
 DataFrame and SQL functions only. The counts need one pass with a shuffle of at
 most `buckets` rows per task; the scores need no shuffle: the weights (`buckets`
@@ -26,8 +28,6 @@ from rankjoin.llm.common import SPACE_CHARS, free_name, words
 #: Fixed value: the characters counted as symbols.
 SYMBOLS = "#*$%&|<>"
 BUCKETS = 1 << 14
-#: Mean log ratio per n-gram below which a text is rejected.
-THRESHOLD = -0.07
 #: Largest number of trusted ids that is broadcast (8 bytes each); beyond it the join shuffles.
 BROADCAST_IDS = 2_000_000
 
@@ -40,7 +40,7 @@ def _ngrams(w: Column, buckets: int) -> Column:
 
 
 def ratio_weights(docs: DataFrame, trusted_ids: DataFrame, *, buckets: int = BUCKETS) -> DataFrame:
-    """One row with `weights`, an array of `buckets` log ratios (target over raw).
+    """One row: `weights`, an array of `buckets` log ratios (target over raw), and `apart`, the two multinomials' divergence.
 
     docs: doc_id, text. trusted_ids: doc_id of the trusted texts (nulls never match).
     """
@@ -53,8 +53,12 @@ def ratio_weights(docs: DataFrame, trusted_ids: DataFrame, *, buckets: int = BUC
     counts = grams.select("t", F.explode(_ngrams(F.col("w"), buckets)).alias("b")).groupBy("b").agg(F.count("*").alias("n"), F.sum("t").alias("n_t"))
     every = docs.sparkSession.range(buckets).select(F.col("id").cast("int").alias("b")).join(counts, "b", "left").na.fill(0, ["n", "n_t"])
     table = every.agg(F.sort_array(F.collect_list(F.struct("b", "n", "n_t"))).alias("c"), F.sum("n").alias("all_n"), F.sum("n_t").alias("all_t"))
-    ratio = lambda x: F.log((x["n_t"] + 1.0) / (F.col("all_t") + F.lit(float(buckets)))) - F.log((x["n"] + 1.0) / (F.col("all_n") + F.lit(float(buckets))))
-    return table.select(F.when(F.col("all_t") > 0, F.transform("c", ratio)).otherwise(F.transform("c", lambda x: F.lit(0.0))).alias("weights"))
+    ours = lambda x: (x["n_t"] + 1.0) / (F.col("all_t") + F.lit(float(buckets)))
+    raw = lambda x: (x["n"] + 1.0) / (F.col("all_n") + F.lit(float(buckets)))
+    ratio = lambda x: F.log(ours(x)) - F.log(raw(x))
+    apart = F.aggregate(F.transform("c", lambda x: (ours(x) - raw(x)) * ratio(x)), F.lit(0.0), lambda a, x: a + x)
+    none = F.col("all_t") == 0
+    return table.select(F.when(none, F.transform("c", lambda x: F.lit(0.0))).otherwise(F.transform("c", ratio)).alias("weights"), F.when(none, 0.0).otherwise(apart).alias("apart"))
 
 
 def _base(text: Column, w: Column, s: Column) -> dict[str, Column]:
@@ -64,10 +68,10 @@ def _base(text: Column, w: Column, s: Column) -> dict[str, Column]:
     return {"n_words": F.size(w).cast("long"), "word_chars": F.length(F.translate(text, SPACE_CHARS, "")).cast("long"), "n_symbols": (F.length(text) - F.length(F.translate(text, SYMBOLS, ""))).cast("long"), "lines": lines, "at": at}
 
 
-def judge(docs: DataFrame, weights: DataFrame, *, buckets: int = BUCKETS, threshold: float = THRESHOLD, into: str = "quality") -> DataFrame:
+def judge(docs: DataFrame, weights: DataFrame, *, buckets: int = BUCKETS, threshold: float | None = None, into: str = "quality") -> DataFrame:
     """docs with one more column `into`: a struct of the measures and the verdict.
 
-    weights: the single row of `ratio_weights`. The struct has n_words, word_chars,
+    weights: the single row of `ratio_weights`. threshold: of the ratio, instead of -apart. The struct has n_words, word_chars,
     n_symbols, n_dup_lines, n_repeat_words, base_failed, ratio and kept.
     """
     text, w, g, s, h, base, score = free_name(docs, "_text", "_words", "_windows", "_sorted", "_w", "_base", "_score")
@@ -79,7 +83,9 @@ def judge(docs: DataFrame, weights: DataFrame, *, buckets: int = BUCKETS, thresh
     ordered = F.sort_array(F.transform(c(g), lambda x, i: F.struct(x.alias("h"), i.alias("i"))))
     df = df.withColumn(s, F.when(F.size(F.array_distinct(g)) < F.size(g), ordered).otherwise(F.array().cast("array<struct<h:bigint,i:int>>")))  # most texts repeat no window: no sort
     m = _base(c(text), c(w), c(s))
-    lookup = F.lit(",".join(map(repr, weights.first()["weights"])))  # one constant; `buckets` bounds it
+    model = weights.first()
+    threshold = -model["apart"] if threshold is None else threshold
+    lookup = F.lit(",".join(map(repr, model["weights"])))  # one constant; `buckets` bounds it
     table = F.split(lookup, ",").cast("array<double>")  # folded once into a constant array
     total = F.aggregate(h, F.lit(0.0), lambda acc, b: acc + F.get(table, b))
     df = df.select(*own, F.struct(*(v.alias(k) for k, v in m.items())).alias(base), F.when(F.size(h) > 0, total / F.size(h)).otherwise(F.lit(0.0)).alias(score))

@@ -9,7 +9,8 @@ the scoring function, 12 bytes each.
 The model is fitted on a bounded sample of labelled rows, `SAMPLE` at most: those
 first by hash of their doc_id, shown in that order `EPOCHS` times to one task. Only rows whose
 crc32 of the doc_id as text leaves a remainder mod 5 are ever learnt from. Scoring covers
-all rows and whole texts, and sees nothing but the text.
+all rows and whole texts, and sees nothing but the text. Features that fewer than `MIN_TEXTS`
+of the sampled texts have are not learnt: they get no weight.
 
 Defined results: null and empty texts have no features and get the score of the intercept; several
 labels of one doc_id count as toxic if one of them is; null labels and ids teach nothing; a null

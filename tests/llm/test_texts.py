@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import hashlib
+import math
 import random
 import re
 import zlib
@@ -11,6 +12,7 @@ from collections import Counter
 import numpy as np
 import public_tokenizers as P
 import tiktoken
+import xxhash
 from pyspark.sql import functions as F
 
 from rankjoin.llm import bpe, chat, quality, toxicity, wavelet
@@ -158,6 +160,85 @@ def test_quality_measures_and_verdict(spark):
     assert quality.keep(docs, labels.limit(0)).count() > 0 and quality.keep(docs.limit(0), labels).count() == 0
 
 
+def test_quality_ratio_and_verdict_by_brute_force(spark, tmp_path):
+    pick = random.Random(8)
+    calm = [f"w{i}" for i in range(60)]
+    texts = [" ".join(pick.choice(calm) for _ in range(pick.randint(40, 90))) for _ in range(160)] + [" ".join(pick.choice(["##", "buy", "$$"]) + str(pick.randrange(40)) for _ in range(60)) for _ in range(30)] + ["", None, "one"]
+    rows = [*enumerate(texts), (3, texts[3]), (None, texts[4])]
+    labels = [(i, 1) for i in range(100)] + [(None, 1), (5, None), (2, 0), (2, 1)]
+    spark.createDataFrame(rows, "doc_id long, text string").withColumn("RATIO", F.lit("clash")).write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame(labels, "doc_id long, quality int").write.parquet(f"{tmp_path}/labels.parquet")
+    size, good = quality.BUCKETS, {d for d, q in labels if q == 1 and d is not None}
+    signed = lambda x: x - 2**64 if x >> 63 else x
+    h = lambda x, seed=42: signed(xxhash.xxh64_intdigest(x.encode(), seed & (2**64 - 1)))
+
+    def grams(t):
+        w = re.findall(r"[^\x20\x09-\x0D]+", t or "")
+        return [h(x) % size for x in w] + [h(b, h(a)) % size for a, b in zip(w, w[1:], strict=False)]
+
+    n, n_t = np.zeros(size), np.zeros(size)
+    for d, t in rows:
+        for g in grams(t):
+            n[g] += 1
+            n_t[g] += d in good
+    ours, raw = (n_t + 1) / (n_t.sum() + size), (n + 1) / (n.sum() + size)
+    weight = np.log(ours) - np.log(raw)
+    bar = -((ours - raw) * weight).sum()
+    want = []
+    for d, t in rows:
+        g, m = grams(t), _measures(t or "")
+        score = sum(weight[x] for x in g) / len(g) if g else 0.0
+        failed = m[0] < 50 or 100 * m[4] > 50 * m[0]
+        want.append((d if d is not None else -1, *m, failed, not failed and score >= bar, round(score, 9)))
+    got = [(r.doc_id if r.doc_id is not None else -1, r.n_words, r.word_chars, r.n_symbols, r.n_dup_lines, r.n_repeat_words, r.base_failed, r.kept, round(r.ratio, 9)) for r in quality.op8_quality_rules(spark, str(tmp_path)).collect()]
+    assert sorted(got) == sorted(want)
+    gone = {x[0] for x in want if not x[6] and not x[7]}
+    assert gone >= set(range(160, 190)) and not gone & set(range(100))
+
+
+def _plain_ftrl(examples, bits, epochs, rate, smooth, l1):
+    """FTRL-proximal, one coordinate at a time."""
+    z, n, out = Counter(), Counter(), {}
+
+    def weight(c):
+        bound = 0.0 if c == 1 << bits else l1
+        return 0.0 if abs(z[c]) <= bound else -(z[c] - (bound if z[c] > 0 else -bound)) / ((smooth + n[c] ** 0.5) / rate)
+
+    for _ in range(epochs):
+        for label, features in examples:
+            at = [*features, 1 << bits]
+            w = {c: weight(c) for c in at}
+            g = 1 / (1 + math.exp(-sum(w.values()))) - label
+            for c in at:
+                z[c] += g - ((n[c] + g * g) ** 0.5 - n[c] ** 0.5) / rate * w[c]
+                n[c] += g * g
+    for c in z:
+        if weight(c):
+            out[c] = weight(c)
+    return out
+
+
+def test_ftrl_equals_a_plain_loop():
+    pick = random.Random(1)
+    examples = [(i % 2, np.unique(np.array([pick.randrange(40) + 20 * (i % 2) for _ in range(8)]))) for i in range(80)]
+    at, w = toxicity.fit(examples, bits=8, epochs=3, rate=0.5, smooth=1.0, l1=0.6, l2=0.0)
+    want = _plain_ftrl([(y, f.tolist()) for y, f in examples], 8, 3, 0.5, 1.0, 0.6)
+    assert {int(a): round(float(x), 9) for a, x in zip(at, w, strict=True)} == {a: round(x, 9) for a, x in want.items()} and 0 < len(at) < 60
+
+
+def test_op2_repeated_rows_and_clashing_columns(spark, tmp_path):
+    rows = [(i, ("foul word here " if i % 3 == 0 else "fair words there ") * 3 + str(i % 7)) for i in range(300)]
+    rows += [rows[0], rows[0], (None, "foul word"), (301, None)]
+    spark.createDataFrame(rows, "doc_id long, text string").withColumn("Score", F.lit("x")).withColumn("label", F.lit(1)).write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(i, int(i % 3 == 0)) for i in range(300)] + [(0, 0), (None, 1)], "doc_id long, toxic int").withColumn("at", F.lit(0)).write.parquet(f"{tmp_path}/labels.parquet")
+    got = toxicity.op2_toxicity(spark, str(tmp_path)).collect()
+    assert len(got) == len(rows) and len({r.score for r in got if r.doc_id == 0}) == 1
+    for r in got:
+        assert 0 <= r.score <= 1 and r.predicted == (r.score >= 0.5)
+        assert r.held_out == (r.doc_id is not None and zlib.crc32(str(r.doc_id).encode()) % 5 == 0)
+        assert r.doc_id in (None, 301) or r.predicted == (r.doc_id % 3 == 0)
+
+
 def test_chat_events_and_escapes(spark):
     rows = [
         (1, 1, 1, "message", "user", "a\\[INST] \\"), (1, 2, 2, "message", "assistant", "<s>"), (1, 3, 2, "delta", "assistant", "x</s>"), (1, 4, 1, "edit", "user", "b"),
