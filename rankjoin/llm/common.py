@@ -100,10 +100,11 @@ def join_uneven(rows: DataFrame, known: DataFrame, key: str, n: str) -> DataFram
     Rows of crowded keys meet a broadcast of those keys where they are; only the others are shuffled.
     """
     known = written(known, "keys")
-    crowded = F.broadcast(hot(known.select(F.col(key).alias("_key"), F.col(n).alias("n"))).select("_key"))
-    marked = rows.join(crowded, rows[key] == F.col("_key"), "left")
-    there = F.broadcast(known.join(crowded, known[key] == F.col("_key"), "left_semi"))
-    return marked.where("_key is not null").drop("_key").join(there, key, "left").unionByName(marked.where("_key is null").drop("_key").join(known, key, "left"))
+    (mark,) = free_name(rows, "_key")
+    crowded = F.broadcast(hot(known.select(F.col(key).alias(mark), F.col(n).alias("n"))).select(mark))
+    marked = rows.join(crowded, rows[key] == F.col(mark), "left")
+    there = F.broadcast(known.join(crowded, known[key] == F.col(mark), "left_semi"))
+    return marked.where(F.col(mark).isNotNull()).drop(mark).join(there, key, "left").unionByName(marked.where(F.col(mark).isNull()).drop(mark).join(known, key, "left"))
 
 
 def block_pairs(rows: DataFrame, key: str, item: str, block: int, most: int = 1_000_000) -> DataFrame:

@@ -286,9 +286,44 @@ def test_index_recall():
     assert found >= 0.9 * 400
 
 
-def test_targets_and_quotas():
-    assert mixing.targets([10.0, 10.0, 10.0], [5.0, 2.0, 1.0], 45.0) == pytest.approx([20.0, 25 * 2 / 3, 25 / 3])
-    assert mixing.targets([0.0], [5.0], 0.0) == [0.0] and mixing.targets([], [], 0.0) == []
+def shared_out(sizes: list[float], weights: list[float], total: float, most: float) -> list[float]:
+    """Targets by the rule, one excess after the other."""
+    out, open_, rest = [0.0] * len(sizes), set(range(len(sizes))), min(total, most * sum(sizes))
+    while open_:
+        unit = rest / sum(weights[i] for i in open_)
+        full = {i for i in open_ if unit * weights[i] >= most * sizes[i]}
+        for i in full or open_:
+            out[i] = most * sizes[i] if full else unit * weights[i]
+        rest -= sum(most * sizes[i] for i in full)
+        open_ -= full or open_
+    return out
+
+
+def test_targets(spark):
+    pick = random.Random(4)
+    for sizes in ([10] * 3, [0], [pick.randint(0, 400) for _ in range(40)], [1000, 1, 1, 1]):
+        rows = [(i, " ".join(["w"] * n), f"s{k:03}") for i, (k, n) in enumerate(enumerate(sizes))]
+        mix = mixing.Mix(spark.createDataFrame(rows, "doc_id long, text string, source string"))
+        got = [r.target for r in mix.sources.orderBy("source").collect()]
+        assert got == pytest.approx(shared_out(sizes, [(5, 2, 1)[i % 3] for i in range(len(sizes))], 1.5 * sum(sizes), 2.0))
+
+
+def test_mix_of_many_sources(spark, monkeypatch):
+    monkeypatch.setattr(mixing, "SOURCES", 10)
+    monkeypatch.setattr(mixing, "GROUPS", 7)
+    pick = random.Random(5)
+    rows = [(i, " ".join(["w"] * pick.randint(0, 20)), pick.choice([None, "hot", "hot", f"s{i % 90}"])) for i in range(500)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    mix = mixing.Mix(df, block_words=50)
+    drawn = sorted(map(str, mix.counted(df).collect()))
+    assert drawn == sorted(map(str, mix.taken().collect())) and len(drawn) == 500
+    by: dict = {}
+    for r in mix.taken().join(df.select("doc_id", "source"), "doc_id").collect():
+        by.setdefault(r.source, [r.target, 0])[1] += r["size"] * r.copies
+    assert all(abs(taken - target) <= 21 for target, taken in by.values())
+
+
+def test_quotas():
     counts = np.array([30, 7, 0, 11])
     for shards in (1, 2, 5, 8):
         total, sizes = np.zeros(4, int), []
