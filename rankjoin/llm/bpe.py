@@ -290,16 +290,16 @@ def encoder(path: str, pattern: str) -> MatrixBpe:
 def encode(docs: DataFrame, vocabulary: str, pattern: str, *, digests: bool = False, only: list[str] | None = None) -> DataFrame:
     """docs with its texts encoded, and decoded again.
 
-    Adds n_tokens, then ids (array of int), or with `digests` the columns ids_sha256 and
+    Adds n_tokens, then ids (array of int) and intact (whether they decode to the text), or with `digests` the columns ids_sha256 and
     decoded_sha256 (hex digests of the ids as little-endian unsigned 32-bit integers
     and of the decoded bytes). Where docs has a column of such a name, the new one
     gets a trailing underscore. only: the columns of docs to keep.
     """
     pattern = as_library(pattern)
     docs = docs if only is None else docs.select(*only, *(["text"] if "text" not in only else []))
-    names = free_name(docs, "n_tokens", *(["ids_sha256", "decoded_sha256"] if digests else ["ids"]))
+    names = free_name(docs, "n_tokens", *(["ids_sha256", "decoded_sha256"] if digests else ["ids", "intact"]))
     kept = docs.columns if only is None else only
-    kinds = [T.LongType(), *([T.StringType()] * 2 if digests else [T.ArrayType(T.IntegerType(), False)])]
+    kinds = [T.LongType(), *([T.StringType()] * 2 if digests else [T.ArrayType(T.IntegerType(), False), T.BooleanType()])]
     schema = T.StructType([docs.schema[c] for c in kept] + [T.StructField(n, k) for n, k in zip(names, kinds, strict=True)])
 
     at = {c: k for k, c in enumerate(docs.columns)}
@@ -310,13 +310,14 @@ def encode(docs: DataFrame, vocabulary: str, pattern: str, *, digests: bool = Fa
             sizes = pc.fill_null(pc.binary_length(batch.column(at["text"])), 0).to_numpy(zero_copy_only=False)
             for a, b in runs(sizes, BATCH_CHARS):
                 part = batch.slice(a, b - a)
-                ids = bpe.encode([x or "" for x in part.column(at["text"]).to_pylist()])
+                texts = [x or "" for x in part.column(at["text"]).to_pylist()]
+                ids = bpe.encode(texts)
                 counts = np.array([len(x) // 4 for x in ids], np.int64)
                 if digests:
                     made = [pa.array([hashlib.sha256(x).hexdigest() for x in ids]), pa.array([hashlib.sha256(bpe.decode(x)).hexdigest() for x in ids])]
                 else:
                     flat = np.frombuffer(b"".join(ids), "<u4").astype(np.int32)
-                    made = [pa.ListArray.from_arrays(pa.array(np.concatenate([[0], counts.cumsum()]).astype(np.int32)), pa.array(flat))]
+                    made = [pa.ListArray.from_arrays(pa.array(np.concatenate([[0], counts.cumsum()]).astype(np.int32)), pa.array(flat)), pa.array([bpe.decode(x) == t.encode() for x, t in zip(ids, texts, strict=True)])]
                 yield pa.RecordBatch.from_arrays([*(part.column(at[c]) for c in kept), pa.array(counts), *made], names=[*kept, *names])
 
     return docs.mapInArrow(work, schema)

@@ -50,6 +50,30 @@ def test_banded_edit_distance():
         assert lines.within(a, b, most) == (distance(a, b) <= most)
 
 
+def dropped_by_brute_force(rows: list) -> list[list[int]]:
+    """Numbers of the lines that go from each of rows (different doc_ids, text)."""
+    every = sorted({x for _, t in rows for x in (t or "").split("\n") if x.strip(" \t\n\r\x0b\x0c")})
+    root = {x: x for x in every}
+
+    def find(x: str) -> str:
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for i, a in enumerate(every):
+        for b in every[:i]:
+            if min(len(a), len(b)) >= lines.MIN_CHARS and abs(len(a) - len(b)) <= 2 and lines.within(a, b, 2):
+                root[find(a)] = find(b)
+    seen, out = set(), [[] for _ in rows]
+    for k in sorted(range(len(rows)), key=lambda k: (rows[k][0] is not None, rows[k][0] or 0)):
+        for i, x in enumerate((rows[k][1] or "").split("\n")):
+            if x in root:
+                if find(x) in seen:
+                    out[k].append(i)
+                seen.add(find(x))
+    return out
+
+
 def test_line_dedup_equals_brute_force(spark):
     pick = random.Random(3)
     base = ["".join(pick.choice("abc de") for _ in range(pick.randint(24, 60))) for _ in range(30)]
@@ -67,24 +91,8 @@ def test_line_dedup_equals_brute_force(spark):
     every = sorted({x for _, t in rows for x in (t or "").split("\n") if len(x) >= lines.MIN_CHARS})
     want = {(min(h(a), h(b)), max(h(a), h(b))) for i, a in enumerate(every) for b in every[:i] if abs(len(a) - len(b)) <= 2 and lines.within(a, b, 2)}
     assert {(r.u, r.v) for r in lines.links(df).collect()} == want
-    root: dict[int, int] = {}
-
-    def find(x: int) -> int:
-        while root.setdefault(x, x) != x:
-            x = root[x]
-        return x
-
-    for a, b in want:
-        root[find(a)] = find(b)
-    out, seen = {r.doc_id: r for r in lines.decide(df).collect()}, set()
-    for d, t in sorted(rows, key=lambda r: (r[0] is not None, r[0] or 0)):
-        gone = []
-        for i, x in enumerate((t or "").split("\n")):
-            if x.strip(" \t\n\r\x0b\x0c"):
-                c = find(h(x))
-                if c in seen:
-                    gone.append(i)
-                seen.add(c)
+    out = {r.doc_id: r for r in lines.decide(df).collect()}
+    for (d, _), gone in zip(rows, dropped_by_brute_force(rows), strict=True):
         assert out[d].dropped == gone
     new = lines.drop_lines(df.withColumn("n_chars", F.length("text")).withColumn("_ROW", F.lit(1)))
     assert new.columns == ["doc_id", "text", "n_chars", "_ROW"] and new.count() == len(rows)
@@ -184,7 +192,7 @@ def _shingles(text: str) -> frozenset:
     return frozenset(" ".join(w[i : i + 5]) for i in range(max(1, len(w) - 4))) if w else frozenset()
 
 
-def _groups_by_brute_force(texts: list[str]) -> list[int]:
+def groups_by_brute_force(texts: list[str]) -> list[int]:
     """The first row of each row's group: components of pairs with a Jaccard similarity of 0.8 or more."""
     sets, root = [_shingles(t or "") for t in texts], list(range(len(texts)))
 
@@ -215,7 +223,7 @@ def test_near_copies_against_brute_force(spark):
         own = [f"own{g}x{i}" for i in range(pick.randint(0, 40))]
         texts.append(" ".join(own + passage))
     pick.shuffle(texts)
-    roots = _groups_by_brute_force(texts)
+    roots = groups_by_brute_force(texts)
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
     kept = {r.doc_id for r in simhash.keep_one(df, size=5).collect()}
     assert kept == set(roots) and len(kept) < len(texts) - 10
@@ -308,6 +316,74 @@ def test_targets(spark):
         assert got == pytest.approx(shared_out(sizes, [(5, 2, 1)[i % 3] for i in range(len(sizes))], 1.5 * sum(sizes), 2.0))
 
 
+def _hash(*parts) -> int:
+    """Spark's xxhash64 of columns (int32 as numpy int32, long, string); nulls are skipped."""
+    h = 42
+    for p in parts:
+        if p is not None:
+            raw = p.encode() if isinstance(p, str) else int(p).to_bytes(4 if isinstance(p, np.int32) else 8, "little", signed=True)
+            h = xxhash.xxh64_intdigest(raw, h)
+    return signed(h)
+
+
+def copies_by_brute_force(rows: list, block_words: int = mixing.BLOCK_WORDS) -> list[int]:
+    """How often the mix takes each of rows (doc_id, text, source)."""
+    seed = np.int32(mixing.SEED)
+    size = [len(re.findall(r"[^\x20\x09-\x0D]+", t or "")) for _, t, _ in rows]
+    key = [_hash(seed, d, t) for d, t, _ in rows]
+    names = sorted({s for *_, s in rows}, key=lambda s: (s is None, s or ""))
+    total = {s: sum(n for n, r in zip(size, rows, strict=True) if r[2] == s) for s in names}
+    goal = shared_out([total[s] for s in names], [(5, 2, 1)[i % 3] for i in range(len(names))], 1.5 * sum(size), 2.0)
+    out = [0] * len(rows)
+    for sid, (s, target) in enumerate(zip(names, goal, strict=True)):
+        if not total[s]:
+            continue
+        blocks, full = -(-total[s] // block_words), int(target // total[s])
+        mine: dict[int, list[int]] = {}
+        for k, r in enumerate(rows):
+            if r[2] == s:
+                mine.setdefault(key[k] % blocks, []).append(k)
+        room = target - full * total[s]
+        for b in sorted(mine, key=lambda b: (_hash(seed, sid, b), b)):
+            for k in mine[b]:
+                out[k] += full
+            words, upto = sum(size[k] for k in mine[b]), 0
+            if room >= words > 0 or room > 0 == words:
+                for k in mine[b]:
+                    out[k] += 1
+            elif room > 0:
+                by: dict[int, list[int]] = {}
+                for k in mine[b]:
+                    by.setdefault(_hash("order", key[k]), []).append(k)
+                for h in sorted(by):
+                    n = sum(size[k] for k in by[h])
+                    upto += n
+                    if upto - n / 2 <= room:
+                        for k in by[h]:
+                            out[k] += 1
+            room -= words
+    return out
+
+
+def test_mix_equals_brute_force(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(mixing, "SHARD_WORDS", 700)
+    pick = random.Random(9)
+    rows = [(i, " ".join(["w"] * pick.randint(0, 30)), pick.choice(["a", "b", "c", "d", None])) for i in range(500)] + [(500, None, "a"), (None, "x y", "b"), (7, "p q r", "a"), (7, "p q r", "a")]
+    for block_words in (60, mixing.BLOCK_WORDS):
+        df = spark.createDataFrame(rows, "doc_id long, text string, source string").withColumn("Sid", F.lit("clash"))
+        mix = mixing.Mix(df, block_words=block_words)
+        got: dict = {}
+        for r in mix.mixed(df).collect():
+            got[r.doc_id, r.text, r.source] = got.get((r.doc_id, r.text, r.source), 0) + 1
+        want: dict = {}
+        for r, n in zip(rows, copies_by_brute_force(rows, block_words), strict=True):
+            want[r] = want.get(r, 0) + n
+        assert got == {r: n for r, n in want.items() if n}
+    df.write.parquet(f"{tmp_path}/documents.parquet")
+    taken = sorted((r.doc_id or -1, r.taken) for r in mixing.op10_source_mix(spark, str(tmp_path)).collect())
+    assert taken == sorted((d or -1, n * len((t or "").split())) for (d, t, _), n in zip(rows, copies_by_brute_force(rows), strict=True))
+
+
 def test_mix_of_many_sources(spark, monkeypatch):
     monkeypatch.setattr(mixing, "SOURCES", 10)
     monkeypatch.setattr(mixing, "GROUPS", 7)
@@ -410,16 +486,3 @@ def test_all_slots_stay_without_an_article(spark):
     assert got == [f"title {i}\n\n{(f'long text {i} ' * 9).strip()}" for i in range(6)]
     got = _texts_of_a_host(spark, '<html><body><div class="x"><p>{}</p></div><div class="y"><p>{}</p></div></body></html>', lambda i: f"long text {i} " * 9, "rest {}".format)
     assert got == [f"{(f'long text {i} ' * 9).strip()}\n\nrest {i}" for i in range(6)]
-
-
-def test_pipeline_stages(spark, sf):
-    import corpus_pipeline as pipeline
-
-    docs = spark.read.parquet(f"{sf}/documents.parquet")
-    columns, given = docs.columns, docs
-    for n, (_, stage) in enumerate(pipeline.STAGES):
-        out = stage(spark, docs, sf)
-        assert out.columns[: len(columns)] == columns and (n == 4 or out.columns == columns)
-        docs = spark.createDataFrame(out.toPandas(), out.schema)
-        assert docs.count() > 0
-        assert stage(spark, given.limit(0), sf).count() == 0

@@ -36,12 +36,12 @@ def test_bpe_equals_tiktoken(spark):
     texts = nasty(400) + ["", None, "a" * 70_000]
     df = docs_of(spark, texts).withColumn("IDS", F.lit(1)).withColumn("n_tokens", F.lit("x"))
     out = bpe.encode(df, path, P.PATTERN)
-    assert out.columns == ["doc_id", "text", "IDS", "n_tokens", "n_tokens_", "ids_"]
+    assert out.columns == ["doc_id", "text", "IDS", "n_tokens", "n_tokens_", "ids_", "intact"]
     got = {r.doc_id: r for r in out.collect()}
     m = bpe.encoder(path, bpe.as_library(P.PATTERN))
     for i, t in enumerate(texts):
         ids = ref.encode_ordinary(t or "")
-        assert got[i].ids_ == ids and got[i].n_tokens_ == len(ids)
+        assert got[i].ids_ == ids and got[i].n_tokens_ == len(ids) and got[i].intact
         assert m.decode(np.array(ids, "<u4").tobytes()) == (t or "").encode()
     assert bpe.encode(df.limit(0), path, P.PATTERN).count() == 0
 
@@ -160,15 +160,9 @@ def test_quality_measures_and_verdict(spark):
     assert quality.keep(docs, labels.limit(0)).count() > 0 and quality.keep(docs.limit(0), labels).count() == 0
 
 
-def test_quality_ratio_and_verdict_by_brute_force(spark, tmp_path):
-    pick = random.Random(8)
-    calm = [f"w{i}" for i in range(60)]
-    texts = [" ".join(pick.choice(calm) for _ in range(pick.randint(40, 90))) for _ in range(160)] + [" ".join(pick.choice(["##", "buy", "$$"]) + str(pick.randrange(40)) for _ in range(60)) for _ in range(30)] + ["", None, "one"]
-    rows = [*enumerate(texts), (3, texts[3]), (None, texts[4])]
-    labels = [(i, 1) for i in range(100)] + [(None, 1), (5, None), (2, 0), (2, 1)]
-    spark.createDataFrame(rows, "doc_id long, text string").withColumn("RATIO", F.lit("clash")).write.parquet(f"{tmp_path}/documents.parquet")
-    spark.createDataFrame(labels, "doc_id long, quality int").write.parquet(f"{tmp_path}/labels.parquet")
-    size, good = quality.BUCKETS, {d for d, q in labels if q == 1 and d is not None}
+def quality_by_brute_force(rows: list, good: set) -> list[tuple]:
+    """Measures, base_failed, kept and the rounded ratio of rows (doc_id, text); good: the trusted ids."""
+    size = quality.BUCKETS
     signed = lambda x: x - 2**64 if x >> 63 else x
     h = lambda x, seed=42: signed(xxhash.xxh64_intdigest(x.encode(), seed & (2**64 - 1)))
 
@@ -180,16 +174,28 @@ def test_quality_ratio_and_verdict_by_brute_force(spark, tmp_path):
     for d, t in rows:
         for g in grams(t):
             n[g] += 1
-            n_t[g] += d in good
+            n_t[g] += d is not None and d in good
     ours, raw = (n_t + 1) / (n_t.sum() + size), (n + 1) / (n.sum() + size)
     weight = np.log(ours) - np.log(raw)
     bar = -((ours - raw) * weight).sum()
-    want = []
-    for d, t in rows:
+    out = []
+    for _, t in rows:
         g, m = grams(t), _measures(t or "")
         score = sum(weight[x] for x in g) / len(g) if g else 0.0
         failed = m[0] < 50 or 100 * m[4] > 50 * m[0]
-        want.append((d if d is not None else -1, *m, failed, not failed and score >= bar, round(score, 9)))
+        out.append((*m, failed, bool(not failed and score >= bar), round(score, 9)))
+    return out
+
+
+def test_quality_ratio_and_verdict_by_brute_force(spark, tmp_path):
+    pick = random.Random(8)
+    calm = [f"w{i}" for i in range(60)]
+    texts = [" ".join(pick.choice(calm) for _ in range(pick.randint(40, 90))) for _ in range(160)] + [" ".join(pick.choice(["##", "buy", "$$"]) + str(pick.randrange(40)) for _ in range(60)) for _ in range(30)] + ["", None, "one"]
+    rows = [*enumerate(texts), (3, texts[3]), (None, texts[4])]
+    labels = [(i, 1) for i in range(100)] + [(None, 1), (5, None), (2, 0), (2, 1)]
+    spark.createDataFrame(rows, "doc_id long, text string").withColumn("RATIO", F.lit("clash")).write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame(labels, "doc_id long, quality int").write.parquet(f"{tmp_path}/labels.parquet")
+    want = [(d if d is not None else -1, *x) for (d, _), x in zip(rows, quality_by_brute_force(rows, {d for d, q in labels if q == 1}), strict=True)]
     got = [(r.doc_id if r.doc_id is not None else -1, r.n_words, r.word_chars, r.n_symbols, r.n_dup_lines, r.n_repeat_words, r.base_failed, r.kept, round(r.ratio, 9)) for r in quality.op8_quality_rules(spark, str(tmp_path)).collect()]
     assert sorted(got) == sorted(want)
     gone = {x[0] for x in want if not x[6] and not x[7]}
