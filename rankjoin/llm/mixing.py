@@ -184,11 +184,11 @@ class Mix:
         return out.repartition(F.col(shard)).sortWithinPartitions(shard, F.xxhash64(F.lit(self.seed + 1), F.col(key), F.col(turn))).select(*docs.columns)
 
     def counted(self, docs: DataFrame) -> DataFrame:
-        """doc_id, size, source_size, target, copies of every row, counted in the written mix of docs.
+        """doc_id, size, source_size, target, copies of every row, counted in the mix of docs as its shards receive it.
 
         Rows of one source with equal doc_id and text are drawn together, so each has its share of their copies.
         """
-        mix = written(self.mixed(docs), "mix")
+        mix = self.mixed(docs)
         sids = ["key", "sid"]
         drawn = self.placed(mix.select("source", _key(self.seed).alias("key"))).groupBy(*sids).agg(F.count("*").alias("drawn"))
         rows = self.placed(self.sizes)
