@@ -5,7 +5,8 @@ first candidates. Such few bits miss texts with some changed words, so a second
 misses none, follows: two sets of similarity 4/5 share one of the first n - ceil(4n/5) + 1
 of their n shingles in any order that is the same for all. The order is by how
 often a shingle's cell of a sketch was met, then by hash, so common passages come last; the sketch
-sets the cost only. Every candidate is verified by its exact similarity.
+sets the cost only. One sorted shuffle brings sets with a shingle in common together. Candidates that sizes and
+sketches rule out go (see below); every other one is verified by its exact similarity.
 
 Of a shingle that more than `BUCKET` sets share, each set is first compared with one of them.
 Sets that are still in different components then meet block by block: a task compares the
@@ -34,9 +35,11 @@ from rankjoin.llm.components import components
 
 BUCKET = 32
 SKETCH, BLOCK = 1024, 128
+#: Rows of one shingle that a task holds; of more, the rest passes through row by row.
+HELD = 4096
 CELLS, HOT_CELLS = 1 << 20, 1 << 16
-#: Largest number of keys that is broadcast; beyond it the join shuffles.
-BROADCAST_IDS = 1_000_000
+#: Largest numbers of keys and of sketches that are broadcast; beyond them the join shuffles.
+BROADCAST_IDS, BROADCAST_SKETCHES = 1_000_000, 100_000
 
 
 def _few(df: DataFrame) -> DataFrame:
@@ -59,16 +62,18 @@ def _set(hashes: list[int]) -> np.ndarray:
     return np.unique(np.array(hashes, np.uint64))
 
 
-def _odd(shingles: np.ndarray) -> bytes:
-    """Which cells hold an odd number of the shingles."""
-    return np.packbits(np.bincount((shingles >> np.uint64(32)).astype(np.int64) & (SKETCH - 1), minlength=SKETCH) & 1).tobytes()
+def _odd(sets: list[np.ndarray]) -> pa.ListArray:
+    """Which cells hold an odd number of a set's shingles, as whole numbers of 64 bits."""
+    odd = [np.packbits(np.bincount((x >> np.uint64(32)).astype(np.int64) & (SKETCH - 1), minlength=SKETCH) & 1) for x in sets]
+    flat = np.concatenate(odd).view(np.int64) if odd else np.zeros(0, np.int64)
+    return pa.ListArray.from_arrays(pa.array(np.arange(len(sets) + 1, dtype=np.int32) * (SKETCH // 64)), pa.array(flat))
 
 
 def _rows(keyed: DataFrame, size: int) -> DataFrame:
-    """a, b, doc_id, node, fp, odd, cell, times: a row per row of keyed, and rows of the counts (with a cell)."""
+    """a, b, doc_id, node, fp, n, odd, cell, times: a row per row of keyed, and rows of the counts (with a cell)."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cells, names = np.zeros(CELLS, np.int64), ["a", "b", "doc_id", "node", "fp", "odd", "cell", "times"]
+        cells, names = np.zeros(CELLS, np.int64), ["a", "b", "doc_id", "node", "fp", "n", "odd", "cell", "times"]
         kind = pa.int64()
         for batch in batches:
             kind = batch.column(2).type
@@ -77,12 +82,12 @@ def _rows(keyed: DataFrame, size: int) -> DataFrame:
                 sets = [_set(x) for x in each]
                 cells += np.bincount(np.concatenate(sets).astype(np.int64) & (CELLS - 1), minlength=CELLS)
                 nodes, none = np.array([_node(x) for x in sets], np.uint64).view(np.int64), pa.nulls(len(sets), pa.int64())
-                yield pa.RecordBatch.from_arrays([*(batch.column(i).slice(at, len(sets)) for i in range(3)), pa.array(nodes), pa.array(simhash.majority(each).view(np.int64)), pa.array(map(_odd, sets), pa.binary()), none, none], names=names)
+                yield pa.RecordBatch.from_arrays([*(batch.column(i).slice(at, len(sets)) for i in range(3)), pa.array(nodes), pa.array(simhash.majority(each).view(np.int64)), pa.array(list(map(len, sets)), pa.int64()), _odd(sets), none, none], names=names)
         hot = np.flatnonzero(cells >= 8 + 4 * cells.sum() / CELLS)
         none = pa.nulls(len(hot), pa.int64())
-        yield pa.RecordBatch.from_arrays([none, none, pa.nulls(len(hot), kind), none, none, pa.nulls(len(hot), pa.binary()), pa.array(hot), pa.array(cells[hot])], names=names)
+        yield pa.RecordBatch.from_arrays([none, none, pa.nulls(len(hot), kind), none, none, none, pa.nulls(len(hot), pa.list_(pa.int64())), pa.array(hot), pa.array(cells[hot])], names=names)
 
-    return keyed.mapInArrow(work, f"a long, b long, doc_id {keyed.schema['doc_id'].dataType.simpleString()}, node long, fp long, odd binary, cell long, times long")
+    return keyed.mapInArrow(work, f"a long, b long, doc_id {keyed.schema['doc_id'].dataType.simpleString()}, node long, fp long, n long, odd array<long>, cell long, times long")
 
 
 def _prefixes(keyed: DataFrame, size: int, hot: np.ndarray) -> DataFrame:
@@ -119,17 +124,79 @@ def _sets(keyed: DataFrame, rows: DataFrame, pairs: DataFrame, size: int) -> Dat
                 yield pa.RecordBatch.from_arrays([pa.array(np.array([_node(x) for x in each], np.uint64).view(np.int64)), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))], names=["node", "shingles"])
 
     texts = keyed.join(_few(written(picked, "picked")), ["a", "b"], "left_semi").select("text")
-    return texts.mapInArrow(work, "node long, shingles array<long>").dropDuplicates(["node"])
+    return texts.mapInArrow(work, "node long, shingles array<long>").groupBy("node").agg(F.any_value("shingles").alias("shingles"))
+
+
+def _apart(x: str, y: str) -> str:
+    """In how many cells two sketches differ."""
+    return f"aggregate(zip_with({x}, {y}, (a, b) -> bit_count(a ^ b)), 0, (t, a) -> t + a)"
 
 
 def similar(keyed: DataFrame, rows: DataFrame, pairs: DataFrame, size: int) -> DataFrame:
     """The pairs (u, v: nodes) whose sets have a Jaccard similarity of 4/5 or more."""
     pairs = written(pairs.where("u <> v").select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct(), "candidates")
+    nodes = written(pairs.select(F.col("u").alias("node")).union(pairs.select("v")).distinct(), "nodes")
+    known = written(rows.select("node", "n", "odd").join(_few(nodes), "node", "left_semi").groupBy("node").agg(F.any_value("n").alias("n"), F.any_value("odd").alias("odd")), "sketches")
+    known = few(known, BROADCAST_SKETCHES)
+    pairs = pairs.join(known.toDF("u", "nu", "ou"), "u").join(known.toDF("v", "nv", "ov"), "v")
+    pairs = written(pairs.where(f"{_lengths_fit('nu', 'nv')} and 9 * {_apart('ou', 'ov')} <= nu + nv").select("u", "v"), "close")
     sets = written(_sets(keyed, rows, pairs, size), "sets")
     both = pairs.join(sets.toDF("u", "su"), "u").join(sets.toDF("v", "sv"), "v")
     return written(both.where(9 * F.size(F.array_intersect("su", "sv")) >= 4 * (F.size("su") + F.size("sv"))).select("u", "v"), "similar")
 
 
+def _met(first: DataFrame) -> DataFrame:
+    """Sets that share a shingle: heavy false, two nodes u, v; or, where over `BUCKET` share h, heavy true, h, node u of size n, and the first node v of size m."""
+    kind = pa.schema([("heavy", pa.bool_()), *((c, pa.int64()) for c in ("h", "u", "n", "v", "m"))])
+
+    def crowd(x: list[np.ndarray], low: np.ndarray, low_n: np.ndarray) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(np.ones(len(x[0]), bool)), *map(pa.array, x), pa.array(low), pa.array(low_n)], schema=kind)
+
+    def runs_of(x: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+        fresh = np.ones(len(x[0]), bool)
+        fresh[1:] = (x[0][1:] != x[0][:-1]) | (x[1][1:] != x[1][:-1])
+        h, node, n = (c[fresh] for c in x)
+        starts = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1]]))
+        size = np.diff(np.append(starts, len(h)))
+        each, start = np.repeat(size, size), np.repeat(starts, size)
+        if (big := each > BUCKET).any():
+            yield crowd([h[big], node[big], n[big]], node[start[big]], n[start[big]])
+        at, end, d = np.flatnonzero((each > 1) & ~big), start + each, 1
+        while len(at := at[at + d < end[at]]):
+            i, j = at, at + d
+            fit = 5 * np.minimum(n[i], n[j]) >= 4 * np.maximum(n[i], n[j])
+            none = pa.nulls(int(fit.sum()), pa.int64())
+            yield pa.RecordBatch.from_arrays([pa.array(np.zeros(len(none), bool)), none, pa.array(node[i[fit]]), none, pa.array(node[j[fit]]), none], schema=kind)
+            d += 1
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, passing = [np.zeros(0, np.int64)] * 3, None
+        for batch in batches:
+            x = [batch.column(k).to_numpy() for k in range(3)]
+            if passing is not None:
+                k = int(np.searchsorted(x[0], passing[0], "right"))
+                yield crowd([c[:k] for c in x], np.full(k, passing[1]), np.full(k, passing[2]))
+                x = [c[k:] for c in x]
+            if not len(x[0]):
+                continue
+            x, passing = [np.concatenate(p) for p in zip(held, x, strict=True)], None
+            cut = int(np.searchsorted(x[0], x[0][-1], "left"))
+            if cut:
+                yield from runs_of([c[:cut] for c in x])
+            held = [c[cut:] for c in x]
+            if len(held[0]) > HELD:  # copies of one set count once
+                fresh = np.append(True, held[1][1:] != held[1][:-1])
+                held = [c[fresh] for c in held]
+            if len(held[0]) > HELD:
+                passing = tuple(int(c[0]) for c in held)
+                yield crowd(held, np.full(len(held[0]), passing[1]), np.full(len(held[0]), passing[2]))
+                held = [c[:0] for c in held]
+        if len(held[0]):
+            yield from runs_of(held)
+
+    return first.repartition(F.col("h")).sortWithinPartitions("h", "node").mapInArrow(work, "heavy boolean, h long, u long, n long, v long, m long")
+
+
 def _lengths_fit(n: str, m: str) -> str:
     return f"5 * least({n}, {m}) >= 4 * greatest({n}, {m})"
 
@@ -147,17 +214,14 @@ def groups(keyed: DataFrame, size: int) -> tuple[DataFrame, DataFrame]:
     by_bits = close.join(least.select(F.col("fp").alias("u"), F.col("low").alias("x")), "u").join(least.select(F.col("fp").alias("v"), F.col("low").alias("y")), "v").select(F.col("x").alias("u"), F.col("y").alias("v"))
     same = least.where("low < high").select(F.col("low").alias("u"), F.col("high").alias("v"))
     # Candidates by a shared shingle of the prefixes.
-    first = written(_prefixes(keyed, size, hot), "prefixes")
-    shared = written(first.groupBy("h").agg(F.min("node").alias("low"), F.max("node").alias("high"), F.min_by("n", "node").alias("low_n"), F.count("*").alias("many")).where("low < high").drop("high"), "shared")
-    met = written(first.join(_few(shared), "h").distinct(), "met")
-    sets = met.where(f"many <= {BUCKET}").groupBy("h").agg(F.collect_list(F.struct("node", "n")).alias("sets")).select("sets", F.explode("sets").alias("one"))
-    light = sets.select(F.col("one.node").alias("u"), F.explode(F.filter("sets", lambda x: (x["node"] > F.col("one.node")) & (5 * F.least(x["n"], F.col("one.n")) >= 4 * F.greatest(x["n"], F.col("one.n"))))).alias("x")).select("u", "x.node")
-    heavy = met.where(f"many > {BUCKET}")
-    led = heavy.where(_lengths_fit("n", "low_n")).select(F.col("low").alias("u"), F.col("node").alias("v"))
+    met = written(_met(_prefixes(keyed, size, hot)), "met")
+    light = met.where("not heavy").select("u", "v")
+    heavy = met.where("heavy").distinct()
+    led = heavy.where(_lengths_fit("n", "m")).select(F.col("v").alias("u"), F.col("u").alias("v"))
     links = similar(keyed, rows, by_bits.union(same).union(light).union(led), size)
     roots = written(components(links), "roots")
     # What the leaders of crowded shingles left in different components.
-    apart = written(heavy.select("h", "node", "n").join(_few(roots), "node", "left").withColumn("root", F.coalesce("root", "node")), "apart")
+    apart = written(heavy.select("h", F.col("u").alias("node"), "n").join(_few(roots), "node", "left").withColumn("root", F.coalesce("root", "node")), "apart")
     who = [F.count("*").alias("many"), F.sum(F.xxhash64(F.lit(1), "node").cast("decimal(38,0)")).alias("x"), F.bit_xor(F.xxhash64(F.lit(2), "node")).alias("y")]
     split = apart.groupBy("h").agg(F.min("root").alias("low"), F.max("root").alias("high"), *who).where("low < high")
     split = split.groupBy("many", "x", "y").agg(F.min("h").alias("h")).select("h")
@@ -166,7 +230,7 @@ def groups(keyed: DataFrame, size: int) -> tuple[DataFrame, DataFrame]:
         return rows, roots
     nodes = written(apart.select("node").distinct(), "nodes")
     sketches = rows.select("node", "odd").join(_few(nodes), "node", "left_semi").groupBy("node").agg(F.any_value("odd").alias("odd"))
-    more = similar(keyed, rows, _close(apart, _few(written(sketches, "sketches"))), size)
+    more = similar(keyed, rows, _close(apart, few(written(sketches, "sketches"), BROADCAST_SKETCHES)), size)
     return rows, written(components(links.union(more)), "roots")
 
 
@@ -178,7 +242,7 @@ def _close(apart: DataFrame, sketches: DataFrame) -> DataFrame:
 
     def work(t: pa.Table) -> pa.Table:
         own, node, n, root = (t.column(c).to_numpy() for c in ("_own", "node", "n", "root"))
-        odd = np.frombuffer(b"".join(t.column("odd").to_pylist()), np.uint64).reshape(len(own), -1)
+        odd = t.column("odd").combine_chunks().flatten().to_numpy().view(np.uint64).reshape(len(own), -1)
         left, right = np.flatnonzero(own == t.column("_i")[0].as_py()), np.flatnonzero(own == t.column("_j")[0].as_py())
         u, v = [node[:0]], [node[:0]]
         for i in left:

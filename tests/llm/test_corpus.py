@@ -10,7 +10,7 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from rankjoin.llm import common, html, lines, mixing, neighbours, simhash
+from rankjoin.llm import common, html, lines, mixing, near, neighbours, simhash
 from rankjoin.llm.components import components
 
 
@@ -209,7 +209,11 @@ def groups_by_brute_force(texts: list[str]) -> list[int]:
     return [find(i) for i in range(len(texts))]
 
 
-def test_near_copies_against_brute_force(spark):
+@pytest.mark.parametrize("small", [False, True])
+def test_near_copies_against_brute_force(spark, monkeypatch, small):
+    if small:  # crowds everywhere
+        for name, value in (("BUCKET", 3), ("HELD", 5), ("BLOCK", 4)):
+            monkeypatch.setattr(near, name, value)
     pick, texts = random.Random(8), []
     passage = [f"license{i}" for i in range(60)]
     for g in range(25):
