@@ -35,13 +35,13 @@ import tiktoken
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
-from rankjoin.llm.common import free_name, runs, table
+from rankjoin.llm.common import free_name, releasing, runs, table
 
 NONE = np.int32(2**31 - 1)  # the rank of a pair that cannot merge
 LONG = 1024  # bytes
 CELLS = 1 << 20  # of a matrix
-CACHE = 250_000  # entries of each cache
-BATCH_CHARS = 3_000_000
+CACHE = 200_000  # entries of each cache
+BATCH_CHARS = 1_000_000
 
 
 class PairTable:
@@ -304,6 +304,7 @@ def encode(docs: DataFrame, vocabulary: str, pattern: str, *, digests: bool = Fa
 
     at = {c: k for k, c in enumerate(docs.columns)}
 
+    @releasing
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = encoder(vocabulary, pattern)
         for batch in batches:

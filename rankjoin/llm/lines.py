@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rankjoin.llm.common import SPACE_CHARS, block_pairs, few, free_name, join_uneven, let, runs, table, written
+from rankjoin.llm.common import SPACE_CHARS, block_pairs, few, free_name, join_uneven, let, releasing, runs, table, written
 from rankjoin.llm.components import components
 
 EDITS = 2
@@ -125,6 +125,7 @@ def _sketches(lines: list[str]) -> np.ndarray:
 def _signatures(docs: DataFrame, edits: int, least: int) -> DataFrame:
     """key, line, sketch, own: a row for each key of each line that the task has not seen yet."""
 
+    @releasing
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         plans: dict[int, list] = {}
         seen: set[int] = set()
@@ -202,6 +203,7 @@ def _pairs(rows: DataFrame, edits: int, bucket: int | None) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(np.zeros(len(a), bool)), pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b)), none, pa.nulls(len(a), pa.bool_())], schema=kind)
             d += 1
 
+    @releasing
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] | None = None
         passing: int | None = None  # the key of which rows pass through
@@ -274,6 +276,7 @@ def links(docs: DataFrame, *, edits: int = EDITS, least: int = MIN_CHARS) -> Dat
     texts = written(found.groupBy("line").agg(F.min("text").alias("text")), "texts")
     both = pairs.join(texts.select(F.col("line").alias("a"), F.col("text").alias("s")), "a").join(texts.select(F.col("line").alias("b"), F.col("text").alias("t")), "b")
 
+    @releasing
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ok = [within(s, t, edits) for s, t in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]

@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rankjoin.llm import simhash
-from rankjoin.llm.common import block_pairs, few, free_name, runs, written
+from rankjoin.llm.common import block_pairs, few, free_name, releasing, runs, written
 from rankjoin.llm.components import components
 
 BUCKET = 32
@@ -72,6 +72,7 @@ def _odd(sets: list[np.ndarray]) -> pa.ListArray:
 def _rows(keyed: DataFrame, size: int) -> DataFrame:
     """a, b, doc_id, node, fp, n, odd, cell, times: a row per row of keyed, and rows of the counts (with a cell)."""
 
+    @releasing
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cells, names = np.zeros(CELLS, np.int64), ["a", "b", "doc_id", "node", "fp", "n", "odd", "cell", "times"]
         kind = pa.int64()
@@ -93,6 +94,7 @@ def _rows(keyed: DataFrame, size: int) -> DataFrame:
 def _prefixes(keyed: DataFrame, size: int, hot: np.ndarray) -> DataFrame:
     """h, node, n: the first shingles of every text's set of n."""
 
+    @releasing
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for _, texts in _texts(batch.column(0)):
@@ -115,6 +117,7 @@ def _sets(keyed: DataFrame, rows: DataFrame, pairs: DataFrame, size: int) -> Dat
     nodes = pairs.select(F.col("u").alias("node")).union(pairs.select("v")).distinct()
     picked = rows.join(nodes, "node", "left_semi").groupBy("node").agg(F.min(F.struct("a", "b")).alias("k")).select("k.a", "k.b")
 
+    @releasing
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for _, texts in _texts(batch.column(0)):
@@ -169,6 +172,7 @@ def _met(first: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(np.zeros(len(none), bool)), none, pa.array(node[i[fit]]), none, pa.array(node[j[fit]]), none], schema=kind)
             d += 1
 
+    @releasing
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, passing = [np.zeros(0, np.int64)] * 3, None
         for batch in batches:

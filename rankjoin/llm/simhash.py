@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from rankjoin.llm.common import runs, table, written
+from rankjoin.llm.common import releasing, runs, table, written
 from rankjoin.llm.components import components
 
 BITS = 2
@@ -71,6 +71,7 @@ def majority(each: list[list[int]]) -> np.ndarray:
 def fingerprints(docs: DataFrame, *, size: int, into: str = "fp") -> DataFrame:
     """doc_id and the fingerprint, as a signed 64-bit integer."""
 
+    @releasing
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             text = batch.column(1).cast(pa.binary())

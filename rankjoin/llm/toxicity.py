@@ -30,7 +30,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from rankjoin.llm.common import runs, table
+from rankjoin.llm.common import releasing, runs, table
 
 BITS = 20
 SAMPLE = 16_000
@@ -116,6 +116,7 @@ def train(docs: DataFrame, labels: DataFrame, *, sample: int = SAMPLE) -> tuple[
     known = known.orderBy(order, "doc_id").limit(sample).withColumnRenamed("doc_id", "_id")
     rows = docs.select("doc_id", "text").join(F.broadcast(known), F.col("doc_id") == F.col("_id")).select(order.alias("at"), "doc_id", "label", "text")
 
+    @releasing
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         make = Featurizer()
         for batch in batches:
@@ -124,6 +125,7 @@ def train(docs: DataFrame, labels: DataFrame, *, sample: int = SAMPLE) -> tuple[
 
     schema = T.StructType([T.StructField("at", T.LongType()), docs.schema["doc_id"], T.StructField("label", T.IntegerType()), T.StructField("features", T.ArrayType(T.IntegerType()))])
 
+    @releasing
     def learn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         examples = [(label, np.array(f, np.int64)) for batch in batches for label, f in zip(batch.column(2).to_pylist(), (x.values.to_numpy() for x in batch.column(3)), strict=True)]
         if examples:
@@ -141,6 +143,7 @@ def score(docs: DataFrame, model: tuple[np.ndarray, np.ndarray]) -> DataFrame:
     """doc_id and score of every row of docs (doc_id, text)."""
     at, w = model
 
+    @releasing
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         size = 1 << BITS
         table_, make = np.zeros(size + 1, np.float32), Featurizer()

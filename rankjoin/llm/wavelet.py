@@ -39,7 +39,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from rankjoin.llm.common import runs, shared_folder, table
+from rankjoin.llm.common import releasing, runs, shared_folder, table
 
 MAGIC = b"WAVELET1"
 BLOCK = 512
@@ -290,6 +290,7 @@ def write_shards(docs: DataFrame, path: str, folder: str, *, end_id: int = END_I
     ordered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
     end = np.array([end_id], "<u4").tobytes()
 
+    @releasing
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tok, part = tokenizer(path), TaskContext.get().partitionId()
         held: list[tuple[int, bytes]] = []
@@ -333,6 +334,7 @@ def read_documents(shards: DataFrame) -> DataFrame:
     """doc_id, start, n_tokens, ids_crc32 of every document, read from the file images."""
     rows = shards.select("range", "number", "image").join(F.broadcast(starts(shards)) if shards.count() <= 1_000_000 else starts(shards), ["range", "number"]).select("start", "image")
 
+    @releasing
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for k in range(batch.num_rows):
@@ -353,6 +355,7 @@ def export(shards: DataFrame, folder: str) -> DataFrame:
     A file appears under its name only when complete, so repeated tasks do no harm.
     """
 
+    @releasing
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         os.makedirs(folder, exist_ok=True)
         for batch in batches:
