@@ -10,7 +10,7 @@ sketches rule out go (see below); every other one is verified by its exact simil
 
 Of a shingle that more than `BUCKET` sets share, each set is first compared with one of them.
 Sets that are still in different components then meet block by block: a task compares the
-odd sketches (the parity of the shingles in each of `SKETCH` cells) of two blocks of `BLOCK` sets, and only pairs
+odd sketches (the parity of the shingles in each of twice as many cells as shingles, `SKETCH` at least) of two blocks of `BLOCK` sets, and only pairs
 that can be similar leave it: sketches never differ in more cells than sets in shingles. Shingles
 shared by the same sets count once.
 
@@ -38,8 +38,8 @@ SKETCH, BLOCK = 1024, 128
 #: Rows of one shingle that a task holds; of more, the rest passes through row by row.
 HELD = 4096
 CELLS, HOT_CELLS = 1 << 20, 1 << 16
-#: Largest numbers of keys and of sketches that are broadcast; beyond them the join shuffles.
-BROADCAST_IDS, BROADCAST_SKETCHES = 1_000_000, 100_000
+#: Largest number of keys and size of sketches that are broadcast; beyond them the join shuffles.
+BROADCAST_IDS, BROADCAST_BYTES = 1_000_000, 16_000_000
 
 
 def _few(df: DataFrame) -> DataFrame:
@@ -63,10 +63,13 @@ def _set(hashes: list[int]) -> np.ndarray:
 
 
 def _odd(sets: list[np.ndarray]) -> pa.ListArray:
-    """Which cells hold an odd number of a set's shingles, as whole numbers of 64 bits."""
-    odd = [np.packbits(np.bincount((x >> np.uint64(32)).astype(np.int64) & (SKETCH - 1), minlength=SKETCH) & 1) for x in sets]
-    flat = np.concatenate(odd).view(np.int64) if odd else np.zeros(0, np.int64)
-    return pa.ListArray.from_arrays(pa.array(np.arange(len(sets) + 1, dtype=np.int32) * (SKETCH // 64)), pa.array(flat))
+    """Which cells hold an odd number of a set's shingles, as whole numbers of 64 bits; the cells are a power of two."""
+    odd = []
+    for x in sets:
+        cells = max(SKETCH, 1 << (2 * len(x) - 1).bit_length())
+        odd.append(np.packbits(np.bincount((x >> np.uint64(32)).astype(np.int64) & (cells - 1), minlength=cells) & 1))
+    ends = np.cumsum([0, *(len(x) // 8 for x in odd)]).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(odd).view(np.int64) if odd else np.zeros(0, np.int64)))
 
 
 def _rows(keyed: DataFrame, size: int) -> DataFrame:
@@ -131,8 +134,14 @@ def _sets(keyed: DataFrame, rows: DataFrame, pairs: DataFrame, size: int) -> Dat
 
 
 def _apart(x: str, y: str) -> str:
-    """In how many cells two sketches differ."""
-    return f"aggregate(zip_with({x}, {y}, (a, b) -> bit_count(a ^ b)), 0, (t, a) -> t + a)"
+    """In how many cells two sketches differ; of sketches of two sizes the larger is folded once."""
+    fold = "if(size({0}) > size({1}), zip_with(slice({0}, 1, size({1})), slice({0}, size({1}) + 1, size({1})), (a, b) -> a ^ b), {0})".format
+    return f"aggregate(zip_with({fold(x, y)}, {fold(y, x)}, (a, b) -> bit_count(a ^ b)), 0, (t, a) -> t + a)"
+
+
+def _small(sketches: DataFrame) -> DataFrame:
+    """Sketches, marked for broadcast if they have `BROADCAST_BYTES` at most."""
+    return F.broadcast(sketches) if 8 * (sketches.agg(F.sum(F.size("odd") + 4)).first()[0] or 0) <= BROADCAST_BYTES else sketches
 
 
 def similar(keyed: DataFrame, rows: DataFrame, pairs: DataFrame, size: int) -> DataFrame:
@@ -140,7 +149,7 @@ def similar(keyed: DataFrame, rows: DataFrame, pairs: DataFrame, size: int) -> D
     pairs = written(pairs.where("u <> v").select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct(), "candidates")
     nodes = written(pairs.select(F.col("u").alias("node")).union(pairs.select("v")).distinct(), "nodes")
     known = written(rows.select("node", "n", "odd").join(_few(nodes), "node", "left_semi").groupBy("node").agg(F.any_value("n").alias("n"), F.any_value("odd").alias("odd")), "sketches")
-    known = few(known, BROADCAST_SKETCHES)
+    known = _small(known)
     pairs = pairs.join(known.toDF("u", "nu", "ou"), "u").join(known.toDF("v", "nv", "ov"), "v")
     pairs = written(pairs.where(f"{_lengths_fit('nu', 'nv')} and 9 * {_apart('ou', 'ov')} <= nu + nv").select("u", "v"), "close")
     sets = written(_sets(keyed, rows, pairs, size), "sets")
@@ -234,7 +243,7 @@ def groups(keyed: DataFrame, size: int) -> tuple[DataFrame, DataFrame]:
         return rows, roots
     nodes = written(apart.select("node").distinct(), "nodes")
     sketches = rows.select("node", "odd").join(_few(nodes), "node", "left_semi").groupBy("node").agg(F.any_value("odd").alias("odd"))
-    more = similar(keyed, rows, _close(apart, few(written(sketches, "sketches"), BROADCAST_SKETCHES)), size)
+    more = similar(keyed, rows, _close(apart, _small(written(sketches, "sketches"))), size)
     return rows, written(components(links.union(more)), "roots")
 
 
@@ -246,7 +255,7 @@ def _close(apart: DataFrame, sketches: DataFrame) -> DataFrame:
 
     def work(t: pa.Table) -> pa.Table:
         own, node, n, root = (t.column(c).to_numpy() for c in ("_own", "node", "n", "root"))
-        odd = t.column("odd").combine_chunks().flatten().to_numpy().view(np.uint64).reshape(len(own), -1)
+        odd = np.array([np.bitwise_xor.reduce(x.values.to_numpy().reshape(-1, SKETCH // 64)) for x in t.column("odd")]).view(np.uint64)  # folded to one size
         left, right = np.flatnonzero(own == t.column("_i")[0].as_py()), np.flatnonzero(own == t.column("_j")[0].as_py())
         u, v = [node[:0]], [node[:0]]
         for i in left:
