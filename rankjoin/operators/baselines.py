@@ -15,6 +15,7 @@ from pyspark.sql.window import Window
 
 from rankjoin.operators import sweeps
 from rankjoin.operators.sweeps import Stages
+from rankjoin.sources.shared import ranked
 
 
 def _order(s: Stages) -> list:
@@ -42,9 +43,9 @@ def joined(s: Stages) -> DataFrame:
 
 def join_first(s: Stages, k: int | None) -> DataFrame:
     """Full reducer, join, sort."""
-    out = joined(s).orderBy(*_order(s))
-    out = out.limit(k) if k is not None else out
-    return out.withColumn("rank", F.row_number().over(Window.orderBy(*_order(s))).cast("bigint"))
+    if k is None:
+        return ranked(joined(s), _order(s))
+    return joined(s).orderBy(*_order(s)).limit(k).withColumn("rank", F.row_number().over(Window.orderBy(*_order(s))).cast("bigint"))
 
 
 def brute_force(s: Stages, k: int | None = None) -> DataFrame:

@@ -1,8 +1,8 @@
 """From a query and its relations to ranked answers as a DataFrame.
 
 With k known, two sweeps of the join tree leave at most k rows per stage, plus those tied with
-the k-th answer, whatever the tables' size; one task then enumerates them. With k unknown, or many
-answers, root rows are dealt into shards: disjoint sub-problems, each with the rows it can
+the k-th answer, whatever the tables' size; up to `ONE_TASK_K` answers one task then enumerates them. Without
+k, or with a larger one, root rows are dealt into shards: disjoint sub-problems, each with the rows it can
 reach, enumerated side by side.
 """
 
@@ -26,6 +26,10 @@ from rankjoin.operators.kbest import k_best
 from rankjoin.operators.sweeps import Stages
 from rankjoin.plans.jointree import JoinTree, join_tree
 from rankjoin.plans.query import ConjunctiveQuery, bind
+from rankjoin.sources.shared import ranked, settled
+
+#: Largest k that one task enumerates; more answers, or all, are enumerated by shards.
+ONE_TASK_K = 20_000
 
 
 def stages_of(q: ConjunctiveQuery, relations: dict[str, DataFrame], ranking: Ranking = SUM, tree: JoinTree | None = None) -> Stages:
@@ -121,8 +125,13 @@ def swept(s: Stages, k: int | None) -> Stages:
     up = sweeps.bottom_up(s)
     if k is None:
         return sweeps.top_down(up)
-    full = sweeps.top_down(up.persist()).persist()
-    return sweeps.pruned(full, k)
+    up = up.persist()
+    full = sweeps.top_down(up).persist()
+    small = sweeps.pruned(full, k)
+    small = small.with_frames(settled(f, "pruned") for f in small.frames)
+    full.unpersist()
+    up.unpersist()
+    return small
 
 
 def enumerate_stages(s: Stages, k: int | None, method: str = "deviate", successor: str = "quick", *, ties: bool = False) -> DataFrame:
@@ -131,16 +140,18 @@ def enumerate_stages(s: Stages, k: int | None, method: str = "deviate", successo
         k, none = 1, True
     else:
         none = False
+    if method in METHODS and not ties and s.ranking.strict and (k is None or k > ONE_TASK_K):
+        return sharded(s, k, max(8, int(s.frames[0].sparkSession.conf.get("spark.sql.shuffle.partitions"))), method, successor)
+    if method == "join_first":
+        from rankjoin.operators.baselines import join_first
+
+        return join_first(s, 0 if none else k)
     ready = swept(s, k)
     if method == "kbest":
         if k is None:
             raise ValueError("kbest needs k")
         out = k_best(ready, k, ties=ties or not s.ranking.strict)
         return out.limit(0) if none else out
-    if method == "join_first":
-        from rankjoin.operators.baselines import join_first
-
-        return join_first(s, k)
     work, schema = _worker(ready, k, method, successor, ties)
     out = _typed(graph_rows(ready).coalesce(1).mapInArrow(work, schema), s)
     return out.limit(0) if none else out
@@ -160,6 +171,8 @@ def with_ties(answers: DataFrame, ranking: Ranking, k: int) -> DataFrame:
 def sharded(s: Stages, k: int | None, shards: int, method: str = "deviate", successor: str = "quick") -> DataFrame:
     """As enumerate_stages, by disjoint sets of root rows in parallel tasks."""
     ready, tree = swept(s, k), s.tree
+    if k is None:
+        ready = ready.with_frames(settled(f, "reduced") for f in ready.frames)
     frames = {tree.root: ready.frames[tree.root].withColumn("_shard", F.pmod(F.xxhash64(*tree.bags[tree.root]), F.lit(shards)).cast("int"))}
     for i in tree.order()[1:]:
         key = tree.key(i)
@@ -180,10 +193,7 @@ def sharded(s: Stages, k: int | None, shards: int, method: str = "deviate", succ
         return pa.Table.from_batches(list(work(iter(t.to_batches()))) or [pa.RecordBatch.from_pylist([], schema=pa.schema([(n, pa.string()) for n in names]))]) if t.num_rows else t
 
     each = _typed(parts.groupBy("_shard").applyInArrow(shard, schema), s).drop("rank")
-    order = [s.ranking.order(F.col("w")), *in_order(tree)]
-    top = each.orderBy(*order)
-    top = top.limit(k) if k is not None else top
-    return top.withColumn("rank", F.row_number().over(Window.orderBy(*order)).cast("bigint"))
+    return ranked(each, [s.ranking.order(F.col("w")), *in_order(tree)], k)
 
 
 class RankedCursor:

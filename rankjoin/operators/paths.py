@@ -17,23 +17,26 @@ from rankjoin.functions.ranking import SUM, Ranking
 from rankjoin.sources.shared import settled
 
 
-def shortest(edges: DataFrame, target: Any, *, ranking: Ranking = SUM, rounds: int = 64) -> DataFrame:
+def shortest(edges: DataFrame, target: Any, *, ranking: Ranking = SUM) -> DataFrame:
     """node, best: weight of the best path from every node to the target, in a DAG (src, dst, w).
 
-    Each round extends by one edge and keeps the best per node; it ends when nothing improves.
+    Each round extends the nodes that the last one improved by one edge and keeps the best per node; it ends when
+    nothing improves. A path of a DAG has fewer edges than there are nodes, so more rounds than nodes mean a cycle.
     """
     kind = edges.schema["w"].dataType
     known = edges.limit(1).select(F.lit(target).cast(edges.schema["dst"].dataType).alias("node"), F.lit(ranking.one).cast(kind).alias("best"))
-    front, state = known, None
-    for _ in range(rounds):
+    most = edges.select(F.col("src").alias("n")).union(edges.select("dst")).distinct().count()
+    known, front = settled(known, "paths"), known
+    for _ in range(most + 1):
         step = edges.join(front, edges["dst"] == front["node"]).select(F.col("src").alias("node"), ranking.combine(F.col("w"), F.col("best")).alias("best"))
-        known = known.union(step).groupBy("node").agg(ranking.best(F.col("best")).alias("best"))
-        known = settled(known, "paths")
-        new = known.agg(F.count("*"), F.sum(F.xxhash64("node", "best").cast("decimal(38,0)"))).first()
-        if new == state:
+        old = known.withColumnRenamed("best", "_old")
+        new = step.groupBy("node").agg(ranking.best(F.col("best")).alias("best")).join(old, "node", "left")
+        better = F.col("best") > F.col("_old") if ranking.descending else F.col("best") < F.col("_old")
+        front = settled(new.where(F.col("_old").isNull() | better).select("node", "best"), "front")
+        if front.isEmpty():
             return known
-        state, front = new, known
-    raise RuntimeError("no end: the graph has a cycle or too many levels")
+        known = settled(known.join(front.select("node"), "node", "left_anti").union(front), "paths")
+    raise RuntimeError("no end: the graph has a cycle")
 
 
 def iterate(edges: list[tuple[Any, Any, Any]], source: Any, target: Any, *, ranking: Ranking = SUM, method: str = "recurse") -> Iterator[tuple[Any, tuple]]:

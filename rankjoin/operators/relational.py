@@ -2,14 +2,45 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
 from rankjoin.sources import graphs
 from rankjoin.sources.tables import cents, load
 
 
+@F.arrow_udf(T.LongType())
+def _larger(x: pa.Array, y: pa.Array) -> pa.Array:
+    return pc.max_element_wise(x, y)
+
+
+@F.arrow_udf(T.LongType())
+def _lower_median(w: pa.Array) -> int:
+    return sorted(w.to_pylist())[(len(w) - 1) // 2]
+
+
+@F.udtf(returnType=T.StructType([T.StructField(c, T.LongType()) for c in ("a1", "a2", "b", "w", "rank")]))
+class RankedPairs:
+    """The three lightest pairs of different edges of a key, out of its three lightest edges: rows come in order."""
+
+    def __init__(self) -> None:
+        self.key, self.first = None, []
+
+    def eval(self, row) -> None:
+        self.key = row["b"]
+        if len(self.first) < 3:
+            self.first.append((row["w"], row["a"]))
+
+    def terminate(self):
+        pairs = sorted((x[0] + y[0], x[1], y[1]) for i, x in enumerate(self.first) for y in self.first[i + 1 :])
+        for rank, (w, a1, a2) in enumerate(pairs, 1):
+            yield a1, a2, self.key, w, rank
+
+
 def scan_project_filter(s: SparkSession, d: str) -> DataFrame:
     return load(s, d, "lineitem").where((F.col("l_quantity") < 5) & (F.col("l_returnflag") == "R")).select("l_orderkey", "l_partkey")
 
@@ -73,7 +104,7 @@ def join_anti_dangling(s: SparkSession, d: str) -> DataFrame:
 
 
 def join_outer(s: SparkSession, d: str) -> DataFrame:
-    n, p = load(s, d, "nation"), load(s, d, "supplier").where("s_suppkey < 10")
+    n, p = load(s, d, "nation"), load(s, d, "supplier")
     return n.join(p, n["n_nationkey"] == p["s_nationkey"], "full").select("n_nationkey", "s_suppkey")
 
 
@@ -87,6 +118,18 @@ def agg_min_by_key(s: SparkSession, d: str) -> DataFrame:
     return graphs.ps(s, d).groupBy("b").agg(F.min("w").alias("best"), F.min_by("a", F.struct("w", "a")).alias("at"))
 
 
+def agg_min_struct(s: SparkSession, d: str) -> DataFrame:
+    """The lightest edge of each supplier as one ordered struct: weight first, then part."""
+    best = graphs.ps(s, d).groupBy("b").agg(F.min(F.struct("w", "a")).alias("m"))
+    return best.select("b", F.col("m.w").alias("w"), F.col("m.a").alias("a"))
+
+
+def agg_approx_distinct(s: SparkSession, d: str) -> DataFrame:
+    """Whether the sketch's number of parts per supplier lies within a quarter (five times its error) of the exact one."""
+    e = graphs.ps(s, d).groupBy("b").agg(F.count_distinct("a").alias("parts"), F.approx_count_distinct("a", 0.05).alias("about"))
+    return e.select("b", "parts", (F.abs(F.col("about") - F.col("parts")) <= F.greatest(F.lit(2.0), 0.25 * F.col("parts"))).alias("close"))
+
+
 def agg_distinct(s: SparkSession, d: str) -> DataFrame:
     return load(s, d, "lineitem").groupBy("l_suppkey").agg(F.count_distinct("l_partkey").alias("parts"))
 
@@ -168,6 +211,29 @@ def set_except_all(s: SparkSession, d: str) -> DataFrame:
     return load(s, d, "customer").select(F.col("c_custkey").alias("c")).exceptAll(load(s, d, "orders").select("o_custkey"))
 
 
+def set_union(s: SparkSession, d: str) -> DataFrame:
+    return graphs.basket(s, d).select(F.col("a").alias("node")).union(graphs.basket(s, d).select("b")).distinct()
+
+
+def udaf_median_weight(s: SparkSession, d: str) -> DataFrame:
+    """Lower median weight of each supplier's edges, by a grouped-aggregate Arrow function."""
+    return graphs.ps(s, d).groupBy("b").agg(_lower_median("w").alias("median"))
+
+
+def arrow_udf_dioid(s: SparkSession, d: str) -> DataFrame:
+    """Weights along two edges combined by another algebra (the larger one) in an Arrow function."""
+    e = graphs.event(s, d)
+    two = e.alias("s").join(e.alias("t"), F.col("s.b") == F.col("t.a")).select(F.col("s.a").alias("x0"), F.col("t.b").alias("x2"), _larger("s.w", "t.w").alias("w"))
+    return two.groupBy("x0", "x2").agg(F.min("w").alias("w"))
+
+
+def udtf_ranked_join(s: SparkSession, d: str) -> DataFrame:
+    """A ranked join called from SQL: a table function over one partition with the rows of both relations per key, best pairs first."""
+    s.udtf.register("ranked_pairs", RankedPairs)
+    graphs.ps(s, d).createOrReplaceTempView("ranked_pairs_input")
+    return s.sql("select a1, a2, b, w, rank from ranked_pairs(table(select b, a, w from ranked_pairs_input) partition by b order by (w, a))")
+
+
 def set_union_all(s: SparkSession, d: str) -> DataFrame:
     return load(s, d, "nation").select(F.col("n_regionkey").alias("k")).unionAll(load(s, d, "region").select("r_regionkey"))
 
@@ -225,7 +291,7 @@ SQL = {
     "join_asof": "select event_id, (select arg_max(v.event_id, (epoch_us(v.ts), v.event_id)) from events v where v.user_id = e.user_id and v.event_type = 'view' and (v.ts, v.event_id) < (e.ts, e.event_id)) as view_id from events e where event_type = 'purchase'",
     "join_semi_reducer": f"with E as ({_B}) select a, b, w from E where b in (select a from E)",
     "join_anti_dangling": "select c_custkey from customer where c_custkey not in (select o_custkey from orders)",
-    "join_outer": "select n_nationkey, s_suppkey from nation full join (select * from supplier where s_suppkey < 10) on n_nationkey = s_nationkey",
+    "join_outer": "select n_nationkey, s_suppkey from nation full join supplier on n_nationkey = s_nationkey",
     "join_cross_small": "select x.r_regionkey as r1, y.r_regionkey as r2 from region x, region y",
     "agg_min_by_key": f"with E as ({graphs.SQL['ps']}) select b, min(w) as best, arg_min(a, (w, a)) as at from E group by b",
     "agg_distinct": "select l_suppkey, count(distinct l_partkey) as parts from lineitem group by l_suppkey",
@@ -245,6 +311,12 @@ SQL = {
     "topk_per_group": "select * from (select o_custkey, o_orderkey, cast(round(o_totalprice * 100) as bigint) as w, row_number() over (partition by o_custkey order by cast(round(o_totalprice * 100) as bigint) desc, o_orderkey) as rank from orders) where rank <= 2",
     "set_intersect": f"with E as ({_B}) select a as node from E intersect select b from E",
     "set_except_all": "select c_custkey as c from customer except all select o_custkey from orders",
+    "agg_min_struct": f"with E as ({graphs.SQL['ps']}) select b, min(w) as w, arg_min(a, (w, a)) as a from E group by b",
+    "agg_approx_distinct": f"with E as ({graphs.SQL['ps']}) select b, count(distinct a) as parts, true as close from E group by b",
+    "set_union": f"with E as ({_B}) select a as node from E union select b from E",
+    "udaf_median_weight": f"with E as ({graphs.SQL['ps']}) select b, list_sort(list(w))[(count(*) + 1) // 2] as median from E group by b",
+    "arrow_udf_dioid": f"with E as ({graphs.SQL['event']}) select s.a as x0, t.b as x2, min(greatest(s.w, t.w)) as w from E s join E t on s.b = t.a group by all",
+    "udtf_ranked_join": f"with E as ({graphs.SQL['ps']}), f as (select *, row_number() over (partition by b order by w, a) as n from E), p as (select x.a as a1, y.a as a2, x.b as b, x.w + y.w as w from f x join f y on x.b = y.b and x.n < y.n where y.n <= 3) select *, row_number() over (partition by b order by w, a1, a2) as rank from p",
     "set_union_all": "select n_regionkey as k from nation union all select r_regionkey from region",
     "fn_string": "select doc_id, upper(lang) as up, concat_ws('-', lang, source) as both, md5(text) as digest from documents",
     "fn_date": "select o_orderkey, year(o_orderdate) as y, strftime(o_orderdate, '%Y-%m') as m from orders",

@@ -98,6 +98,25 @@ def reduced(s: Stages) -> Stages:
     return s.with_frames(frames)
 
 
+#: Largest k for which the k best rows of a stage are sorted into one task to find the last of them.
+SORTED_K = 10_000
+#: Of a percentile sketch: its rank error is n / ACCURACY at most.
+ACCURACY = 10_000
+
+
+def _about_kth(df: DataFrame, k: int, descending: bool) -> object | None:
+    """A `_through` that at least k rows do not exceed and few more: by a percentile sketch, then a count."""
+    n = df.count()
+    if n < k:
+        return None
+    share = min(1.0, k / n + 2 / ACCURACY)
+    value = df.agg(F.percentile_approx("_through", 1 - share if descending else share, ACCURACY)).first()[0]
+    within = F.col("_through") >= value if descending else F.col("_through") <= value
+    if df.where(within).count() >= k:
+        return value
+    return df.agg(F.min("_through") if descending else F.max("_through")).first()[0]
+
+
 def threshold(s: Stages, k: int) -> object | None:
     """A weight that at least k answers do not exceed, or None.
 
@@ -105,6 +124,10 @@ def threshold(s: Stages, k: int) -> object | None:
     """
     found = []
     for df in s.frames:
+        if k > SORTED_K and df.schema["_through"].dataType.simpleString() in ("bigint", "double"):
+            if (value := _about_kth(df, k, s.ranking.descending)) is not None:
+                found.append(value)
+            continue
         top = df.select("_through").orderBy(s.ranking.order(F.col("_through"))).limit(k)
         worst = F.min("_through") if s.ranking.descending else F.max("_through")
         n, value = top.agg(F.count("*"), worst).first()

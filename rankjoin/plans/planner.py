@@ -26,6 +26,7 @@ class RankedPlan:
     shape: str  # full, projected, cyclic
     method: str
     reason: str
+    tree: JoinTree | None = None
 
     def explain(self) -> str:
         return f"{self.shape} query, ranking {self.ranking.name}, k = {self.k}: {self.method} ({self.reason})"
@@ -36,12 +37,12 @@ class RankedPlan:
             return cyclic.run(q, relations, k, ranking=r, method=self.method)
         if self.shape == "projected":
             return project.grouped(q, relations, k, ranking=r) if self.method == "grouped" else project.min_weight(q, relations, k, ranking=r, method=self.method)
-        s = engine.stages_of(q, relations, r)
+        s = engine.stages_of(q, relations, r, self.tree)
         if self.method == "holistic":
             return holistic(s, k)
         if self.method == "join_first":
             return join_first(s, k)
-        return engine.enumerate_stages(s, k, self.method)
+        return engine.enumerate_stages(s, k, self.method)  # all answers, or many: by shards
 
 
 def _starlike(tree: JoinTree) -> bool:
@@ -73,5 +74,5 @@ def plan(q: ConjunctiveQuery, relations: dict[str, DataFrame], k: int | None, *,
     if _starlike(tree):
         return RankedPlan(q, k, ranking, "full", "deviate", "a star shares no suffixes")
     if ranking.strong:
-        return RankedPlan(q, k, ranking, "full", "deviate_memo", "many answers share suffixes")
+        return RankedPlan(q, k, ranking, "full", "deviate_memo", "many answers share suffixes", tree.deepest())
     return RankedPlan(q, k, ranking, "full", "recurse", "many answers, suffix order not reusable")

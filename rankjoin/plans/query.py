@@ -131,8 +131,8 @@ def wide_star(length: int) -> ConjunctiveQuery:
 
 
 def branch(length: int, relation: str = "E") -> ConjunctiveQuery:
-    """A path with one more atom at its second variable."""
-    return _full([(relation, (f"x{i}", f"x{i + 1}")) for i in range(length - 1)] + [(relation, ("x1", "y"))])
+    """A path with one more atom at its last variable but one: two atoms share what they hang on."""
+    return _full([(relation, (f"x{i}", f"x{i + 1}")) for i in range(length - 1)] + [(relation, (f"x{length - 2}", "y"))])
 
 
 def cycle(length: int, relation: str = "E") -> ConjunctiveQuery:

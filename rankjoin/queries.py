@@ -92,6 +92,14 @@ _add("path3_basket_sum_desc", lambda s, d: engine.run(cq.path(3), relations(s, d
 for _r, _name in ((rk.MAX, "max"), (rk.MIN, "min")):
     _add(f"path2_basket_{_name}_ties", lambda s, d, r=_r: engine.run(cq.path(2), relations(s, d, _BASKET), 100, ranking=r, method="kbest"), sql(cq.path(2), _BASKET, 100, ranking=_name, ties=True))
 
+_add("path3_prob", lambda s, d: _likely(s, d), f"with E as (select a, b, w / 16777216.0::double as w from ({graphs.SQL['event']}) where w between 0 and 16777216), j as (select s.w * t.w * u.w as w from E s, E t, E u where s.b = t.a and t.b = u.a) select w, rank from (select w, cast(rank() over (order by w desc) as bigint) as rank from j) where rank <= 100")
+
+
+def _likely(spark: SparkSession, d: str) -> DataFrame:
+    """Three hops of the event graph by the product of their weights as probabilities, in 2^24ths."""
+    e = graphs.event(spark, d).where("w between 0 and 16777216").select("a", "b", (F.col("w") / F.lit(16777216.0)).alias("w"))
+    return engine.run(cq.path(3), {"E": e}, 100, ranking=rk.PROB, method="kbest").select("w", "rank")
+
 
 def _lex(spark: SparkSession, d: str) -> DataFrame:
     """A path in order of its first, then its second tuple's weight, as vectors."""
@@ -262,6 +270,64 @@ _W_SQL["W41"] = _FC_BODY + _FC_TAIL
 _W_SQL["W42"] = f"{sql(cq.path(2), _BASKET, None, body_only=True)} select 'all' as semantics, x0, w, cast(row_number() over (order by w, x0, x1, x2) as bigint) as rank from (select * from answers order by w, x0, x1, x2 limit {K}) union all select 'min', x0, w, cast(row_number() over (order by w, x0) as bigint) from (select x0, min(w) as w from answers group by x0 order by w, x0 limit {K})"
 _W_SQL["W43"] = "select * from (values ('deviate', 1011::bigint, 0::bigint), ('rank_join', 1011, 812), ('astar_join', 1011, 93)) t(method, top, combinations)"
 _W_SQL["W44"] = "select cast(100 + 100 * 100 + 100 * 100 as bigint) as size, 200::bigint as \"rows\""
+
+
+def _pruned_sql(q: cq.ConjunctiveQuery, sources: dict[str, str], k: str, tags: str, name: str) -> tuple[str, str]:
+    """(CTEs, select) of the weights of the k best answers over binary relations: best completions up the tree, best
+    answers through each row down it, rows beyond the k-th of a stage dropped, the rest joined. k: SQL of a number."""
+    tree, parts = join_tree(q), []
+    add = lambda cte, text: parts.append(f"{name}{cte} as materialized ({text})")
+    match = lambda x, y, key: " and ".join(f"{x}.{v} = {y}.{v}" for v in key) or "true"
+    kids = {i: tree.children(i) for i in tree.order()}
+    for i in reversed(tree.order()):
+        x, y = q.atoms[i].terms
+        joins = "".join(f" join {name}m{c} on {match('f', f'{name}m{c}', tree.key(c))}" for c in kids[i])
+        add(f"u{i}", f"select f.*{''.join(f', {name}m{c}.best as b{c}' for c in kids[i])}, f.w{''.join(f' + {name}m{c}.best' for c in kids[i])} as best from (select a as {x}, b as {y}, w from {sources[q.atoms[i].relation]}) f{joins}")
+        if tree.parent[i] >= 0:
+            key = ", ".join(tree.key(i))
+            add(f"m{i}", f"select {key}, min(best) as best from {name}u{i} group by {key}")
+    for i in tree.order():
+        p = tree.parent[i]
+        if p < 0:
+            add(f"t{i}", f"select *, 0::bigint as rest, best as through from {name}u{i}")
+            continue
+        key = ", ".join(tree.key(i))
+        add(f"o{i}", f"select {key}, min(rest + w{''.join(f' + b{c}' for c in kids[p] if c != i)}) as rest from {name}t{p} group by {key}")
+        add(f"t{i}", f"select u.*, o.rest, u.best + o.rest as through from {name}u{i} u join {name}o{i} o on {match('u', 'o', tree.key(i))}")
+    kth = " union all ".join(f"select through as x from (select through, row_number() over (order by through) as n from {name}t{i}) where n = ({k})" for i in tree.order())
+    add("bound", f"select coalesce(min(x), 9000000000000000000) as x from ({kth})")
+    for i in tree.order():
+        add(f"p{i}", f"select {', '.join(tree.bags[i])}, w from {name}t{i}, {name}bound where through <= x")
+    body = f"{name}p{tree.root} p{tree.root}"
+    for i in tree.order()[1:]:
+        body += f" join {name}p{i} p{i} on {match(f'p{i}', f'p{tree.parent[i]}', tree.key(i))}"
+    add("best", f"select w, row_number() over (order by w) as rank from (select cast({' + '.join(f'p{i}.w' for i in tree.order())} as bigint) as w from {body} order by w limit ({k}))")
+    return ", ".join(parts), f"select {tags}, rank, w from {name}best" if tags else f"select rank, w from {name}best"
+
+
+def _union_sql(withs: list[str], parts: list[tuple[str, str]]) -> str:
+    return f"with {', '.join([*withs, *(p for p, _ in parts)])} {' union all '.join(x for _, x in parts)}"
+
+
+def _gauss_sql(j: int, rows: int, deviation: int) -> str:
+    total = lambda c: " + ".join(f"('0x' || substr(md5('{j}:{c}:' || i), {1 + 4 * n}, 4))::bigint" for n in range(8))
+    value = lambda c: f"cast(round((({total(c)}) - 262140) * {deviation}::double / 53508.0::double) as bigint)"
+    return f"select a, b, min(w) as w from (select {value('a')} as a, {value('b')} as b, ('0x' || substr(md5('{j}:w:' || i), 1, 12))::bigint % 1000000 as w from range({_SYNTHETIC}) t(i)) group by a, b"
+
+
+_SYNTHETIC = 100_000
+_EDGES = f"E as materialized ({graphs.SQL['basket']})"
+for _name, _make in (("W1", cq.path), ("W2", cq.star)):
+    _cuts = [f"E{int(100 * s)} as (select * from E where a <= (select floor(max(a) * {s}) from E))" for s in workloads._SHARES]
+    _W_SQL[_name] = _union_sql([_EDGES, *_cuts], [_pruned_sql(_make(4), {"E": f"E{int(100 * s)}"}, str(K), f"{int(100 * s)}::bigint as share", f"s{int(100 * s)}") for s in workloads._SHARES])
+for _name, _make in (("W5", cq.path), ("W6", cq.star)):
+    _W_SQL[_name] = _union_sql([_EDGES], [_pruned_sql(_make(n), {"E": "E"}, str(K), f"{n}::bigint as atoms", f"l{n}") for n in workloads._LENGTHS])
+for _name, _make, _text in (("W9", cq.path, _uniform_sql), ("W10", cq.star, _uniform_sql), ("W11", cq.path, _gauss_sql), ("W12", cq.star, _gauss_sql)):
+    _spreads = [_SYNTHETIC // f for f in (100, 10, 1)]
+    _given = [f"R{j}x{x} as materialized ({_text(j, _SYNTHETIC, x)})" for x in _spreads for j in range(1, 5)]
+    _W_SQL[_name] = _union_sql(_given, [_pruned_sql(workloads._numbered(_make(4)), {f"R{j}": f"R{j}x{x}" for j in range(1, 5)}, str(K), f"{x}::bigint as spread", f"x{x}") for x in _spreads])
+for _name, _make, _n in (("W29", cq.path, 4), ("W33", cq.star, 4)):
+    _W_SQL[_name] = _union_sql([_EDGES], [_pruned_sql(_make(_n), {"E": "E"}, "select count(*) from E", "", "x")])
 for _n, _run in workloads.WORKLOADS.items():
     _add(_n, _run, _W_SQL.get(_n))
 
@@ -292,21 +358,51 @@ def _dag_best(spark: SparkSession, d: str) -> DataFrame:
 
 
 def _threshold(spark: SparkSession, d: str) -> DataFrame:
-    """Customers of a nation by the lower median of three scores, by sorted access; one nation's customers bound it."""
-    c = load_customers(spark, d).collect()
-    lists = [{r.c: r[n] for r in c} for n in ("balance", "orders", "spent")]
-    pulls = baselines.Pulls()
-    best = baselines.threshold_algorithm(lists, lambda x: sorted(x)[1], 5, pulls)
+    """All customers by the lower median of three scores, by sorted access in blocks of doubling depth.
+
+    A round reads the heads of the three sorted lists, scores the customers in them, and ends when the fifth best is no
+    worse than the median of the heads' ends: a customer in no head has no lower median. Heads are rows of Spark's top-k, so
+    the driver holds three heads, as deep as the answer asks for.
+    """
+    names, k, depth = ("balance", "orders", "spent"), 5, 64
+    c = settled(load_customers(spark, d), "customers")
+    while True:
+        heads = [c.orderBy(n, "c").limit(depth).collect() for n in names]
+        best = sorted({(sorted((r.balance, r.orders, r.spent))[1], r.c) for h in heads for r in h})[:k]
+        ends = sorted(h[-1][n] for h, n in zip(heads, names, strict=True) if h)
+        if any(len(h) < depth for h in heads) or (len(best) == k and best[-1][0] < ends[1]):
+            break
+        depth *= 2
     return spark.createDataFrame([(n, int(w), int(o)) for n, (w, o) in enumerate(best, 1)], "rank bigint, w bigint, c bigint")
 
 
 def load_customers(spark: SparkSession, d: str) -> DataFrame:
-    c, o = graphs.customer_nation(spark, d).where("n = 7"), graphs.customer_orders(spark, d)
+    c, o = graphs.customer_nation(spark, d), graphs.customer_orders(spark, d)
     per = o.groupBy("c").agg(F.count("*").alias("orders"), F.sum("w").alias("spent"))
     return c.join(per, "c", "left").select("c", F.col("w").alias("balance"), F.coalesce("orders", F.lit(0)).alias("orders"), F.coalesce("spent", F.lit(0)).alias("spent"))
 
 
 _add("dag_best_by_sweeps", _dag_best)
-_add("threshold_median", _threshold, f"with C as ({graphs.SQL['customer_nation']}), O as ({graphs.SQL['customer_orders']}), p as (select c, count(*) as orders, sum(w) as spent from O group by c), v as (select C.c, w as balance, coalesce(orders, 0) as orders, coalesce(spent, 0) as spent from C left join p on C.c = p.c where n = 7), m as (select c, cast(balance + orders + spent - greatest(balance, orders, spent) - least(balance, orders, spent) as bigint) as w from v) select cast(row_number() over (order by w, c) as bigint) as rank, w, c from (select * from m order by w, c limit 5)")
+_add("threshold_median", _threshold, f"with C as ({graphs.SQL['customer_nation']}), O as ({graphs.SQL['customer_orders']}), p as (select c, count(*) as orders, sum(w) as spent from O group by c), v as (select C.c, w as balance, coalesce(orders, 0) as orders, coalesce(spent, 0) as spent from C left join p on C.c = p.c), m as (select c, cast(balance + orders + spent - greatest(balance, orders, spent) - least(balance, orders, spent) as bigint) as w from v) select cast(row_number() over (order by w, c) as bigint) as rank, w, c from (select * from m order by w, c limit 5)")
+_add("lex_as_weighted_sum", lambda s, d: _lex_sum(s, d), f"with E as ({graphs.SQL['basket']}) select *, cast(row_number() over (order by w0, w1, x0, x1, x2) as bigint) as rank from (select s.a as x0, s.b as x1, t.b as x2, s.w as w0, t.w as w1 from E s, E t where s.b = t.a order by w0, w1, x0, x1, x2 limit {K})")
+
+
+def _lex_sum(spark: SparkSession, d: str) -> DataFrame:
+    """The lexicographic order of two relations' weights as one weighted sum of their ranks."""
+    e = settled(graphs.basket(spark, d), "basket")
+    s = engine.stages_of(cq.path(2), {"E": e})
+    frames = [f.withColumn("_w", F.col("_w").cast("bigint")) for f in rk.lex_as_sum(list(s.frames), [0, 1], [F.col("_w"), F.col("_w")])]
+    best = engine.enumerate_stages(s.with_frames(f.select(*s.tree.bags[i], "_w") for i, f in enumerate(frames)), K).drop("w")
+    first, then = e.toDF("x0", "x1", "w0"), e.toDF("x1", "x2", "w1")
+    return best.join(first, ["x0", "x1"]).join(then, ["x1", "x2"]).select("x0", "x1", "x2", "w0", "w1", "rank")
+
+
+def _pairwise(spark: SparkSession, d: str) -> DataFrame:
+    """Edges of the graph without hubs, an edge per joining pair: the ablation of `graph_size_hubs`."""
+    e = graphs.basket(spark, d)
+    return e.toDF("x0", "x1", "w0").join(e.toDF("x1", "x2", "w1"), "x1").agg(F.count("*").alias("edges"), F.min(F.col("w0") + F.col("w1")).alias("best"))
+
+
+_add("graph_pairwise", _pairwise, f"with E as ({graphs.SQL['basket']}) select count(*) as edges, min(s.w + t.w) as best from E s join E t on s.b = t.a")
 _add("graph_size_hubs", lambda s, d: measure.graph_size([graphs.basket(s, d).select(F.col("a").alias("x0"), F.col("b").alias("x1")), graphs.basket(s, d).select(F.col("a").alias("x1"), F.col("b").alias("x2"))], [("x1",)]), f"with E as ({graphs.SQL['basket']}), l as (select b as k, count(*) as l from E group by b), r as (select a as k, count(*) as r from E group by a) select count(*) as hubs, cast(sum(l + r) as bigint) as hub_edges, cast(sum(l * r) as bigint) as pair_edges from l join r on l.k = r.k")
 _add("graph_stats_basket", lambda s, d: measure.graph_stats(graphs.basket(s, d)), f"with E as ({graphs.SQL['basket']}), n as (select a as n from E union all select b from E), g as (select n, count(*) as d from n group by n) select cast(sum(d) / 2 as bigint) as edges, count(*) as nodes, avg(d) as mean_degree, max(d) as max_degree from g")

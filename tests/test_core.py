@@ -28,6 +28,8 @@ def test_parser_and_trees():
             cq.parse(bad)
     assert jt.join_tree(cq.path(4)).parent == (-1, 0, 1, 2) and jt.join_tree(cq.cycle(4)) is None
     assert [jt.diameter(x) for x in (cq.path(5), cq.wide_star(5), cq.star(5))] == [5, 3, 2]
+    assert all(jt.join_tree(cq.star(n)).parent == (-1, *[0] * (n - 1)) for n in (2, 3, 4, 6))
+    assert cq.branch(5).atoms[-1].terms == ("x3", "y") and jt.join_tree(cq.branch(5)).deepest().parent == (-1, 0, 1, 2, 2)
     assert jt.join_tree(cq.path(4)).as_path().is_valid() and jt.join_tree(cq.star(4)).shallowest().is_valid()
     six = jt.ear_removal([a.variables for a in cq.parse("Q(*) :- A(x,y,z), B(y,u), C(u,a), D(y,p), E(p,f), F(p,g)").atoms])[0]
     assert jt.level_by_level(six).width == 3 and jt.level_by_level(six.rerooted(5)).width == 2 and jt.level_by_level(six).is_valid()
@@ -189,3 +191,48 @@ def test_shortest_paths_by_sweeps(spark, sf):
             best[a] = min(ways)
     assert {r.node: r.best for r in queries.QUERIES["dag_best_by_sweeps"](spark, sf).collect()} == best
     assert set(workloads.WORKLOADS) == {f"W{i}" for i in range(1, 50)}
+
+
+def test_branch_against_sql_written_by_hand(spark):
+    import duckdb
+
+    con, rels = duckdb.connect(), {}
+    for j in range(1, 6):
+        rels[f"R{j}"] = graphs.uniform(spark, j, 60, 8)
+        rows = rels[f"R{j}"].collect()
+        con.execute(f"create table R{j}(a bigint, b bigint, w bigint)")
+        con.executemany(f"insert into R{j} values (?, ?, ?)", [tuple(r) for r in rows])
+    want = con.execute("select r1.w + r2.w + r3.w + r4.w + r5.w as w from R1 r1, R2 r2, R3 r3, R4 r4, R5 r5 where r1.b = r2.a and r2.b = r3.a and r3.b = r4.a and r3.b = r5.a order by 1").fetchall()
+    from rankjoin.workloads import _numbered
+
+    for method in ("deviate", "deviate_memo", "recurse"):
+        got = engine.run(_numbered(cq.branch(5)), rels, None, method=method).orderBy("rank").collect()
+        assert [r.w for r in got] == [w for (w,) in want] and [r["rank"] for r in got] == list(range(1, len(want) + 1))
+    some = engine.run(_numbered(cq.branch(5)), rels, 700).orderBy("rank").collect()
+    assert [r.w for r in some] == [w for (w,) in want[:700]]
+
+
+def test_many_answers_by_shards_and_a_sketched_threshold(spark, monkeypatch):
+    monkeypatch.setattr(engine, "ONE_TASK_K", 50)
+    monkeypatch.setattr(sweeps, "SORTED_K", 50)
+    rels = {"E": graphs.uniform(spark, 1, 400, 40)}
+    for q in (cq.path(3), cq.star(3)):
+        for r in (rk.SUM, rk.SUM_DESC):
+            want = [tuple(x) for x in engine.run(q, rels, 600, ranking=r, method="join_first").orderBy("rank").collect()]
+            assert [tuple(x) for x in engine.run(q, rels, 600, ranking=r).orderBy("rank").collect()] == want
+
+
+def test_ranking_that_is_not_commutative():
+    # How two of five elements combine, by rows; the smaller element is the better one.
+    times = ((0, 1, 2, 3, 4), (1, 1, 2, 3, 4), (2, 2, 2, 3, 4), (3, 4, 4, 4, 4), (4, 4, 4, 4, 4))
+    a = rk.from_ordered((0, 1, 2, 3, 4), lambda x, y: x <= y, lambda x, y: times[x][y], 0)
+    law = rk.laws(a)
+    assert law["selective"] and law["distributive"] and law["times_associative"] and law["one"] and not law["times_commutative"]
+    assert rk.classify(a) == "none"
+
+
+def test_best_paths_over_more_levels_than_sixty_four(spark):
+    from rankjoin.operators import paths
+
+    chain = spark.createDataFrame([(i, i + 1, 1) for i in range(70)] + [(0, 70, 500)], "src long, dst long, w long")
+    assert {r.node: r.best for r in paths.shortest(chain, 70).collect()} == {i: 70 - i for i in range(71)}
