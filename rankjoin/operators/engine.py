@@ -29,7 +29,7 @@ from rankjoin.plans.query import ConjunctiveQuery, bind
 from rankjoin.sources.shared import ranked, settled
 
 #: Largest k that one task enumerates; more answers, or all, are enumerated by shards.
-ONE_TASK_K = 20_000
+ONE_TASK_K = 1_000_000
 
 
 def stages_of(q: ConjunctiveQuery, relations: dict[str, DataFrame], ranking: Ranking = SUM, tree: JoinTree | None = None) -> Stages:
