@@ -32,11 +32,16 @@ BUCKETS = 1 << 14
 BROADCAST_IDS = 2_000_000
 
 
-def _ngrams(w: Column, buckets: int) -> Column:
+def _neighbours(a: Column) -> Column:
+    """Hashes of all neighbouring pairs of an array's items."""
+    n = F.greatest(F.size(a) - 1, F.lit(0))
+    return F.zip_with(F.slice(a, 1, n), F.slice(a, 2, n), lambda x, y: F.xxhash64(x, y))
+
+
+def _ngrams(w: Column, pairs: Column, buckets: int) -> Column:
     """Buckets of all words, then of all neighbouring pairs."""
-    single = F.transform(w, lambda x: F.pmod(F.xxhash64(x), F.lit(buckets)).cast("int"))
-    pairs = F.zip_with(w, F.slice(w, 2, F.greatest(F.size(w) - 1, F.lit(0))), lambda x, y: F.when(y.isNotNull(), F.pmod(F.xxhash64(x, y), F.lit(buckets)).cast("int")))
-    return F.concat(single, F.array_compact(pairs))
+    bucket = lambda h: F.pmod(h, F.lit(buckets)).cast("int")
+    return F.concat(F.transform(w, lambda x: bucket(F.xxhash64(x))), F.transform(pairs, bucket))
 
 
 def ratio_weights(docs: DataFrame, trusted_ids: DataFrame, *, buckets: int = BUCKETS) -> DataFrame:
@@ -50,7 +55,7 @@ def ratio_weights(docs: DataFrame, trusted_ids: DataFrame, *, buckets: int = BUC
         ids = F.broadcast(ids)
     tagged = docs.select("doc_id", "text").join(ids, F.col("doc_id") == F.col("_id"), "left")
     grams = tagged.select(F.coalesce("_in", F.lit(0)).alias("t"), words(F.col("text")).alias("w"))
-    counts = grams.select("t", F.explode(_ngrams(F.col("w"), buckets)).alias("b")).groupBy("b").agg(F.count("*").alias("n"), F.sum("t").alias("n_t"))
+    counts = grams.select("t", F.explode(_ngrams(F.col("w"), _neighbours(F.col("w")), buckets)).alias("b")).groupBy("b").agg(F.count("*").alias("n"), F.sum("t").alias("n_t"))
     every = docs.sparkSession.range(buckets).select(F.col("id").cast("int").alias("b")).join(counts, "b", "left").na.fill(0, ["n", "n_t"])
     table = every.agg(F.sort_array(F.collect_list(F.struct("b", "n", "n_t"))).alias("c"), F.sum("n").alias("all_n"), F.sum("n_t").alias("all_t"))
     ours = lambda x: (x["n_t"] + 1.0) / (F.col("all_t") + F.lit(float(buckets)))
@@ -62,10 +67,10 @@ def ratio_weights(docs: DataFrame, trusted_ids: DataFrame, *, buckets: int = BUC
 
 
 def _base(text: Column, w: Column, s: Column) -> dict[str, Column]:
-    lines = F.filter(F.split(text, "\n"), lambda x: F.length(F.translate(x, SPACE_CHARS, "")) > 0)
+    lines = F.filter(F.split(text, "\n"), lambda x: F.length(F.btrim(x, F.lit(SPACE_CHARS))) > 0)
     again = F.filter(s, lambda x, i: F.coalesce(F.get(s, i - 1)["h"] == x["h"], F.lit(False)) | F.coalesce(F.get(s, i + 1)["h"] == x["h"], F.lit(False)))
     at = F.sort_array(F.transform(again, lambda x: x["i"]))
-    return {"n_words": F.size(w).cast("long"), "word_chars": F.length(F.translate(text, SPACE_CHARS, "")).cast("long"), "n_symbols": (F.length(text) - F.length(F.translate(text, SYMBOLS, ""))).cast("long"), "lines": lines, "at": at}
+    return {"n_words": F.size(w).cast("long"), "word_chars": F.aggregate(w, F.lit(0), lambda a, x: a + F.length(x)).cast("long"), "n_symbols": F.regexp_count(text, F.lit(f"[{SYMBOLS}]")).cast("long"), "lines": lines, "at": at}
 
 
 def judge(docs: DataFrame, weights: DataFrame, *, buckets: int = BUCKETS, threshold: float | None = None, into: str = "quality") -> DataFrame:
@@ -74,12 +79,12 @@ def judge(docs: DataFrame, weights: DataFrame, *, buckets: int = BUCKETS, thresh
     weights: the single row of `ratio_weights`. threshold: of the ratio, instead of -apart. The struct has n_words, word_chars,
     n_symbols, n_dup_lines, n_repeat_words, base_failed, ratio and kept.
     """
-    text, w, g, s, h, base, score = free_name(docs, "_text", "_words", "_windows", "_sorted", "_w", "_base", "_score")
+    text, w, p, g, s, h, base, score = free_name(docs, "_text", "_words", "_pairs", "_windows", "_sorted", "_w", "_base", "_score")
     own = docs.columns
     c = F.col
     df = docs.select(*own, F.coalesce(c("text"), F.lit("")).alias(text)).withColumn(w, words(c(text)))
-    windows = F.when(F.size(w) >= 3, F.transform(F.sequence(F.lit(0), F.size(w) - 3), lambda i: F.xxhash64(F.get(c(w), i), F.get(c(w), i + 1), F.get(c(w), i + 2)))).otherwise(F.array().cast("array<bigint>"))
-    df = df.withColumn(g, windows).withColumn(h, _ngrams(c(w), buckets))
+    df = df.withColumn(p, _neighbours(c(w)))
+    df = df.withColumn(g, _neighbours(c(p))).withColumn(h, _ngrams(c(w), c(p), buckets))  # two pairs of pairs: a window
     ordered = F.sort_array(F.transform(c(g), lambda x, i: F.struct(x.alias("h"), i.alias("i"))))
     df = df.withColumn(s, F.when(F.size(F.array_distinct(g)) < F.size(g), ordered).otherwise(F.array().cast("array<struct<h:bigint,i:int>>")))  # most texts repeat no window: no sort
     m = _base(c(text), c(w), c(s))
