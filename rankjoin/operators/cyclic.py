@@ -2,7 +2,7 @@
 
 A cycle of l atoms is split by the degree of its variables' values: tree i takes the answers whose
 variable i is heavy and whose earlier ones are light, cut open at i with the heavy value kept
-in every atom; the last tree takes the all-light answers as two chains that share both
+in every atom it reaches; the last tree takes the all-light answers as two chains that share both
 ends. The parts are disjoint. Heavy values are few (rows / threshold), chains of light ones short.
 """
 
@@ -19,6 +19,7 @@ from rankjoin.operators.engine import enumerate_stages
 from rankjoin.operators.sweeps import Stages
 from rankjoin.plans.jointree import JoinTree, cycle_variables, ear_removal, heavy_threshold
 from rankjoin.plans.query import ConjunctiveQuery, bind
+from rankjoin.sources.shared import settled
 
 
 def bag(frames: list[DataFrame], ranking: Ranking) -> DataFrame:
@@ -58,20 +59,20 @@ def heavy_light(q: ConjunctiveQuery, relations: dict[str, DataFrame], ranking: R
         raise ValueError("not a cycle")
     frames, n = bind(q, relations), len(around)
     limit = limit or heavy_threshold(max(f.count() for f in frames), n)
-    heavy = [f.groupBy(v).count().where(F.col("count") > limit).select(v).persist() for f, v in zip(frames, around, strict=True)]
-    light = [f.join(F.broadcast(h), v, "left_anti") for f, h, v in zip(frames, heavy, around, strict=True)]
+    heavy = [settled(f.groupBy(v).count().where(F.col("count") > limit).select(v), "heavy") for f, v in zip(frames, around, strict=True)]
+    light = [f.join(h, v, "left_anti") for f, h, v in zip(frames, heavy, around, strict=True)]
     trees = []
     for i, v in enumerate(around):
-        parts, bags = [], []
+        # Walk the cycle from v: a row takes the heavy values that reach it, and the last atom closes it.
+        parts, reach = [], heavy[i]
         for step in range(n):
             j = (i + step) % n
             f = light[j] if j < i else frames[j]
-            if v in f.columns:
-                f = f.join(F.broadcast(heavy[i]), v)
-            else:
-                f = f.crossJoin(F.broadcast(heavy[i]))
-            parts.append(f)
-            bags.append(tuple(c for c in f.columns if c != "_w"))
+            f = f.join(reach, [c for c in reach.columns if c in f.columns])
+            parts.append(f.select(v, *[c for c in f.columns if c not in (v, "_w")], "_w"))
+            if step < n - 1:
+                reach = settled(f.select(v, around[(j + 1) % n]).distinct(), "reach")
+        bags = [tuple(c for c in f.columns if c != "_w") for f in parts]
         trees.append(Stages(JoinTree(tuple(bags), tuple(range(-1, n - 1))), tuple(parts), ranking))
     half = -(-n // 2)
     parts = [bag(light[:half], ranking), bag(light[half:], ranking)]
