@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from rankjoin import queries, workloads
 from rankjoin.functions import ranking as rk
-from rankjoin.operators import engine, levels
+from rankjoin.operators import cyclic, engine, levels
 from rankjoin.plans import query as cq
 from rankjoin.sources import graphs
 
@@ -52,3 +52,25 @@ def test_rankings_and_ties(spark, monkeypatch, ranking):
     want = [tuple(r) for r in engine.enumerate_stages(s, None, "join_first").orderBy("rank").collect()]
     for k in (1, 50, None):
         assert [tuple(r) for r in engine.enumerate_stages(s, k).orderBy("rank").collect()] == want[:k]
+
+
+def test_rows_that_are_all_tied_go_in_bulk(spark, monkeypatch):
+    """The form of lexicographic_elimination: no threshold tells the rows apart."""
+    monkeypatch.setattr(engine, "ONE_TASK_ROWS", 50)
+    monkeypatch.setitem(engine.METHODS, "deviate", lambda *a, **b: pytest.fail("one task holds all rows"))
+    e = graphs.uniform(spark, 1, 300, 40).withColumn("w", F.lit(0).cast("bigint")).persist()
+    got = [tuple(r) for r in engine.run(cq.path(2), {"E": e}, 7).orderBy("rank").collect()]
+    assert got == [tuple(r) for r in engine.run(cq.path(2), {"E": e}, 7, method="join_first").orderBy("rank").collect()]
+
+
+def test_cycles_lose_rows_beyond_the_bound_first(spark, monkeypatch):
+    """The form of cycle4_basket_heavy_light, W37 and W49."""
+    e = graphs.uniform(spark, 3, 700, 60).persist()
+    for n in (3, 4):
+        for r in (rk.SUM, rk.SUM_DESC):
+            monkeypatch.setattr(cyclic, "SMALL", 10**9)
+            want = [tuple(x) for x in cyclic.run(cq.cycle(n), {"E": e}, 5, ranking=r, split=False).orderBy("rank").collect()]
+            monkeypatch.setattr(cyclic, "SMALL", 1)
+            q, kept = cyclic.within_bound(cq.cycle(n), {"E": e}, 5, r)
+            assert all(f.count() < e.count() for f in kept.values()) and len(q.atoms) == len(kept) == n
+            assert [tuple(x) for x in cyclic.run(cq.cycle(n), {"E": e}, 5, ranking=r, split=False).orderBy("rank").collect()] == want
