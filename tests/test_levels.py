@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from pathlib import Path
+
 import duckdb
 import pytest
 from pyspark.sql import functions as F
@@ -74,3 +76,32 @@ def test_cycles_lose_rows_beyond_the_bound_first(spark, monkeypatch):
             q, kept = cyclic.within_bound(cq.cycle(n), {"E": e}, 5, r)
             assert all(f.count() < e.count() for f in kept.values()) and len(q.atoms) == len(kept) == n
             assert [tuple(x) for x in cyclic.run(cq.cycle(n), {"E": e}, 5, ranking=r, split=False).orderBy("rank").collect()] == want
+
+
+def test_prefixes_of_earlier_stages_are_deleted(spark, monkeypatch):
+    """The form of W36: its disk is that of two stages, not of all walks, and the first beam finds its bound."""
+    _no_task(monkeypatch)
+    e, root, bounds, left, walk = graphs.uniform(spark, 4, 20_000, 90).persist(), Path(spark.conf.get("spark.checkpoint.dir").removeprefix("file:")), [], [], levels._walk
+
+    def watched(*a, **b):
+        out, bound = walk(*a, **b)
+        bounds.append(bound)
+        left.append(sum(1 for _ in root.glob("prefixes-*")))
+        return out, bound
+
+    monkeypatch.setattr(levels, "_walk", watched)
+    q, k, before = workloads._follower_star(6), e.count(), sum(1 for _ in root.glob("prefixes-*"))
+    got = [r.w for r in engine.run(q, {"E": e}, k).orderBy("rank").collect()]
+    assert len(bounds) == 2 and None not in bounds and max(left) <= before + 1
+    assert got == sorted(got) and len(got) == k and got[-1] <= bounds[0]
+
+
+def test_bound_of_crowded_weights(spark):
+    """Weights far closer than the buckets over their whole range, from either end."""
+    for r, sign in ((rk.SUM, 1), (rk.SUM_DESC, -1)):
+        for weights in ([*range(1000), 10**12], [0, *range(10**12, 10**12 + 1000)]):
+            df = spark.createDataFrame([(sign * w,) for w in weights], "_t bigint")
+            s = engine.stages_of(cq.path(1), {"E": graphs.uniform(spark, 1, 9, 3)}, r)
+            bound, n = levels._bound(s, df, 7, (0, sign * 2 * 10**12), None)
+            assert 7 <= n <= 14 and n == sum(w <= abs(bound) for w in weights)
+            assert levels._bound(s, df, 5000, (0, sign * 2 * 10**12), None) == (None, 1001)
