@@ -28,6 +28,7 @@ import zlib
 from array import array
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import compress, pairwise
 from string import punctuation
 
 import numpy as np
@@ -47,7 +48,7 @@ SHARD = 1 << 21
 NULL_ID = -(2**63)
 END_ID = 2
 CACHE = 600_000  # words, about 170 bytes each
-BATCH_CHARS = 1_000_000
+BATCH_CHARS = 4_000_000
 
 
 class WaveletMatrix:
@@ -199,7 +200,7 @@ class CachedTokenizer:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
-        self.cache = _Found({"": b""})
+        self.cache: dict[str, bytes] = {"": b""}
         self.old: dict[str, bytes] = {}
         vocabulary = self.tokenizer.get_vocab()
         self.ends = np.zeros(max(vocabulary.values(), default=0) + 1, bool)
@@ -221,60 +222,49 @@ class CachedTokenizer:
                 out += self._each(some)
                 continue
             raw, at = ids.tobytes(), [0, *(4 * ends).tolist()]
-            out += [raw[a:b] for a, b in zip(at, at[1:])]  # noqa: B905
+            out += [raw[a:b] for a, b in pairwise(at)]
         return out
 
     def _learn(self, words: list[str]) -> None:
         cache, old = self.cache, self.old
         if old:
-            kept = [(w, old[w]) for w in words if w in old]
-            cache.update(kept)
-            words = [w for w in words if w not in cache] if kept else words
+            cache.update((w, old[w]) for w in words if w in old)
+            words = [w for w in words if w not in cache]
         # "Σ" has two lower cases, by its place in the word
         low = [w.lower() if "Σ" not in w else w for w in words] if self.lowers else words
         stems = [x.rstrip(punctuation) for x in low] if self.splits else low
-        plain: dict[str, None] = {}
-        other: dict[str, None] = {}
-        cut: list[tuple[str, str, str]] = []
-        for w, x, stem in zip(words, low, stems, strict=True):
-            if stem.isalpha():
-                if stem not in cache:
-                    plain[stem] = None
-                if stem is not w:
-                    tail = x[len(stem) :]
-                    if tail not in cache:
-                        other[tail] = None
-                    cut.append((w, stem, tail))
-            else:
-                other[w] = None
-        cache.update(zip(plain, self._strung(list(plain)), strict=True))
+        letters = list(map(str.isalpha, stems))
+        cut = [(w, stem, x[len(stem) :]) for w, x, stem, yes in zip(words, low, stems, letters, strict=True) if yes and stem != w]
+        other = {w for w, yes in zip(words, letters, strict=True) if not yes}.union(tail for _, _, tail in cut).difference(cache)
+        plain = list(set(compress(stems, letters)).difference(cache))
+        cache.update(zip(plain, self._strung(plain), strict=True))
         cache.update(zip(other, self._each(list(other)), strict=True))
-        for w, stem, tail in cut:
-            cache[w] = cache[stem] + cache[tail]
+        cache.update((w, cache[stem] + cache[tail]) for w, stem, tail in cut)
 
-    def encode(self, texts: list[str]) -> list[bytes]:
-        """The ids of each text, as little-endian unsigned 32-bit integers."""
-        if len(self.cache) > CACHE:
-            self.cache, self.old = _Found({"": b""}), self.cache
-        cache = self.cache
-        got = [list(map(cache.__getitem__, x.replace("\n", " ").split(" "))) for x in texts]
-        if cache.unknown:
-            self._learn(list(cache.unknown))
-            cache.unknown.clear()
-            got = [[x if x.__class__ is bytes else cache[x] for x in g] for g in got]
-        return [b"".join(g) for g in got]
-
-
-class _Found(dict):
-    """Looking up an unknown word notes it and gives the word itself."""
+    def encode(self, texts: list[str] | pa.Array) -> list[bytes]:
+        """The ids of each text (none of them null), as little-endian unsigned 32-bit integers.
 
-    def __init__(self, *given) -> None:
-        super().__init__(*given)
-        self.unknown: dict[str, None] = {}
-
-    def __missing__(self, word: str) -> str:
-        self.unknown[word] = None
-        return word
+        Arrow splits the texts, finds the distinct words and puts their ids in the texts' order, so Python sees each distinct word once.
+        """
+        if len(self.cache) > CACHE:
+            self.cache, self.old = {"": b""}, self.cache
+        cells = pc.split_pattern(pc.replace_substring(pa.array(texts, pa.large_string()) if isinstance(texts, list) else texts.cast(pa.large_string()), "\n", " "), " ")
+        coded = cells.flatten().dictionary_encode()
+        if not len(coded):
+            return [b""] * len(texts)
+        # words hold no blank, so one string carries them all to Python
+        words = pc.binary_join(pa.ListArray.from_arrays(pa.array([0, len(coded.dictionary)], pa.int32()), coded.dictionary.cast(pa.string())), " ")[0].as_py().split(" ")
+        found = list(map(self.cache.get, words))
+        if unknown := [w for w, x in zip(words, found, strict=True) if x is None]:
+            self._learn(unknown)
+            found = [self.cache[w] if x is None else x for w, x in zip(words, found, strict=True)]
+        ends = np.cumsum([0, *map(len, found)], dtype="<i8")
+        ids = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(words), [None, pa.py_buffer(ends), pa.py_buffer(b"".join(found))]).take(coded.indices)
+        _, starts, data = ids.buffers()
+        # flatten() begins at the first text's first word, wherever its slice begins
+        at = np.frombuffer(starts, "<i8", len(ids) + 1)[cells.offsets.to_numpy() - cells.offsets[0].as_py()].tolist()
+        raw = memoryview(data or b"")
+        return [bytes(raw[a:b]) for a, b in pairwise(at)]
 
 
 @lru_cache(maxsize=2)
@@ -307,7 +297,7 @@ def write_shards(docs: DataFrame, path: str, folder: str, *, end_id: int = END_I
             sizes = pc.fill_null(pc.binary_length(batch.column(1)), 0).to_numpy(zero_copy_only=False)
             for a, b in runs(sizes, BATCH_CHARS):
                 piece = batch.slice(a, b - a)
-                for d, x in zip(piece.column(0).to_pylist(), tok.encode([t or "" for t in piece.column(1).to_pylist()]), strict=True):
+                for d, x in zip(piece.column(0).to_pylist(), tok.encode(pc.fill_null(piece.column(1), "")), strict=True):
                     n = len(x) // 4 + 1
                     if held and total + n > shard:
                         yield flush()

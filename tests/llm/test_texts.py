@@ -10,6 +10,7 @@ import zlib
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import public_tokenizers as P
 import tiktoken
 import xxhash
@@ -80,6 +81,19 @@ def test_wavelet_matrix():
         assert wavelet.WaveletMatrix.build(np.array(few, np.uint32)).ids().tolist() == few
 
 
+def test_wavelet_words_are_looked_up_once_a_batch(monkeypatch):
+    """op9: each distinct word of a batch reaches Python once, from Arrow slices, too; ids are the library's."""
+    tok = wavelet.CachedTokenizer(P.path("word_bpe_49k.json"))
+    texts = ["dropped", *nasty(200, 3), "", "  ", "Same, same. SAME same's\nsame same", "İ Σας ΣΑΣ\tx\x00y", "same " * 5000]
+    seen: list[str] = []
+    learn = tok._learn
+    monkeypatch.setattr(tok, "_learn", lambda words: (seen.extend(words), learn(words)))
+    for given in (pa.array(texts, pa.string())[1:], texts[1:]):
+        got = tok.encode(given)
+        assert got == [np.array(tok.tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes() for t in texts[1:]]
+    assert len(seen) == len(set(seen)) and tok.encode(pa.array([], pa.string())) == [] and tok.encode(["", ""]) == [b"", b""]
+
+
 def test_wavelet_shards(spark, tmp_path):
     path = P.path("word_bpe_49k.json")
     tok = wavelet.CachedTokenizer(path)
