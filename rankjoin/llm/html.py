@@ -1,13 +1,13 @@
 """HTML extraction by equivalence-class template deduction.
 
-Tokens of a page are its element paths (tag, class and id from the root down) and its
+Tokens of a page are starts and ends of its elements (by path: tag, class and id from the root down) and its
 texts with their paths. Tokens that occur equally often on every page of a host,
-so with one occurrence vector, form an equivalence class. A class of at least `CLASS`
-tokens that at least `SUPPORT` of the host's pages hold is part of the host's template; classes nest
-as their paths do. Texts inside an article must be on all pages, as copies of an article on some
-pages are no template; if all of an article is on all pages, it stays. Vectors are compared by two sums of page hashes weighted by
-the number of occurrences, so no task gathers a host's pages: each one adds up its own, and a
-row per host and token is left to shuffle.
+so with one occurrence vector, form an equivalence class. Classes that hold at least `CLASS`
+elements and texts and that at least `SUPPORT` of the host's pages hold are part of the host's template if
+they are ordered and nested on all pages; occurrences of other tokens are told apart by the classes around them, and classes are
+built anew until nothing changes (`llm/classes.py`). Texts inside an article must be on all pages, as copies of an article on some
+pages are no template; if all of an article is on all pages, it stays. The pages' tokens are written once for the rounds, and the
+last pass parses the pages again and goes through the rounds of their host.
 
 What the template leaves over are its slots. A page's text is that of all slots in its
 article or main element; without one, of all slots of the page. Slots in menus, headers, footers, sidebars,
@@ -25,7 +25,6 @@ fewer than `PAGES` pages has no template; other columns are ignored.
 from __future__ import annotations
 
 import re
-from collections import Counter
 from collections.abc import Iterator
 from html import unescape
 
@@ -35,10 +34,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from rankjoin.llm.classes import ARTICLE, CLOSE, OPEN, TEXT, prepared, rounds, signed, template, with_host
 from rankjoin.llm.common import releasing, runs, table, written
 
-PAGES, CLASS, SUPPORT = 3, 2, 0.5
-BROADCAST_HOSTS = 20_000
 BATCH_CHARS = 4_000_000
 
 # Elements of HTML.
@@ -79,35 +77,50 @@ def _marked(name: str, attributes: str, inside: bool) -> tuple[bool, str]:
 
 
 class Page:
-    """One parsed page: paths (how often each element path occurs) and blocks (inside article, path, text)."""
+    """One parsed page: blocks (inside article, text) and roles (its tokens in page order, one text token per block)."""
 
     def __init__(self, html: str) -> None:
-        self.paths: Counter[str] = Counter()
-        self.blocks: list[tuple[bool, str, str]] = []
+        self.blocks: list[tuple[bool, str]] = []
+        self._roles: list[int] = []  # 0: a text that turned out empty
+        self._hashes: dict[str, int] = {}
         self._text: list[str] = []
-        self._at = (False, "")
+        self._at = (False, "", 0)
         # name, path, dropped, inside the article
         self._stack: list[tuple[str, str, bool, bool]] = [("", "", False, False)]
         self._read(html)
         self._cut()
+        for _, path, _, _ in self._stack[:0:-1]:
+            self._token(path, CLOSE)
+        self.roles = [r for r in self._roles if r]
+
+    def _token(self, path: str, kind: int) -> None:
+        h = self._hashes.get(path)
+        if h is None:
+            h = self._hashes[path] = _hash(path)
+        self._roles.append(h | kind)
 
     def _cut(self) -> None:
         if self._text:
             if text := " ".join(unescape("".join(self._text)).split()):
-                self.blocks.append((*self._at, text))
+                inside, path, at = self._at
+                self.blocks.append((inside, text))
+                self._roles[at] = _hash(f"{path}\n{text}") | (ARTICLE if inside else TEXT)
             self._text = []
 
     def _add(self, text: str) -> None:
         _, path, drop, inside = self._stack[-1]
         if not drop:
             if not self._text:
-                self._at = inside, path
+                self._at = inside, path, len(self._roles)
+                self._roles.append(0)
             self._text.append(text)
 
     def _close(self, name: str, until: tuple[str, ...]) -> None:
         """Close the nearest open element of this name, unless one of `until` stands above it."""
         for k in range(len(self._stack) - 1, 0, -1):
             if self._stack[k][0] == name:
+                for _, path, _, _ in self._stack[: k - 1 : -1]:
+                    self._token(path, CLOSE)
                 del self._stack[k:]
                 return
             if self._stack[k][0] in until:
@@ -128,7 +141,7 @@ class Page:
         bad, label = _marked(name, attributes, inside)
         inside |= name in KEEP_TAGS or "main" in attributes and bool(re.search(r"role\s*=\s*[\"']?(?:main|article)", attributes))
         path = f"{path}/{name}{label}" if len(self._stack) < 64 else path
-        self.paths[path] += 1
+        self._token(path, OPEN)
         self._stack.append((name, path, drop or bad, inside))
 
     def _read(self, html: str) -> None:
@@ -162,31 +175,20 @@ class Page:
                 end = low.find(f"</{name}", at) if len(low) == size else html.find(f"</{name}", at)
                 at = size if end < 0 else end
 
-    def tokens(self) -> Counter[int]:
-        """Hashes of the element paths and of the texts, with their numbers."""
-        out: Counter[int] = Counter()
-        for path, n in self.paths.items():
-            out[_hash(path) & ~1] += n
-        for block in self.blocks:
-            out[_token(*block)] += 1
-        return out
-
-    def main_text(self, template: frozenset[int] | set[int]) -> str:
-        article = [b for b in self.blocks if b[0]]
-        left = [b[2] for b in article or self.blocks if _token(*b) not in template]
+    def main_text(self, found: set[int]) -> str:
+        """Blocks of the page whose roles do not stand at the places found."""
+        texts = (i for i, r in enumerate(self.roles) if r & 2)
+        slots = [(inside, text, i not in found) for (inside, text), i in zip(self.blocks, texts, strict=True)]
+        article = [s for s in slots if s[0]]
+        left = [s[1] for s in article or slots if s[2]]
         if article and not left:  # the same article on every page
-            left = [b[2] for b in article]
+            left = [s[1] for s in article]
         return "\n\n".join(left)
 
 
-def _token(inside: bool, path: str, text: str) -> int:
-    """Hash of a text and its path, odd for one inside an article."""
-    return _hash(f"{path}\n{text}") & ~1 | inside
-
-
 def _hash(text: str) -> int:
-    h = xxhash.xxh64_intdigest(text)
-    return h - (1 << 64) if h >> 63 else h
+    """Hash of a path or text, its two lowest bits clear."""
+    return signed(xxhash.xxh64_intdigest(text)) & ~3
 
 
 def host(url: Column) -> Column:
@@ -194,52 +196,39 @@ def host(url: Column) -> Column:
 
 
 def templates(pages: DataFrame) -> DataFrame:
-    """host, tokens: hashes of the tokens of each host's template."""
+    """host, n, roles, rounds: the rounds that lead to each host's template."""
 
     @releasing
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            sums: dict[tuple[str, int], list[int]] = {}
-            for key, name, html in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                for token, n in [(0, 1), *Page(html or "").tokens().items()]:  # token 0 counts pages
-                    h = xxhash.xxh64_intdigest(n.to_bytes(8, "little"), key & 0xFFFFFFFFFFFFFFFF)
-                    s = sums.setdefault((name, token), [0, 0, 0])
-                    s[0] += h & 0xFFFFFFFF
-                    s[1] += h >> 32
-                    s[2] += 1
-            yield pa.RecordBatch.from_pydict({
-                "host": pa.array([k[0] for k in sums], pa.string()), "token": pa.array([k[1] for k in sums], pa.int64()),
-                **{c: pa.array([s[i] for s in sums.values()], pa.int64()) for i, c in enumerate(("x", "y", "pages"))},
-            })
-
-    keyed = pages.select(F.xxhash64("page_id", "url").alias("key"), host(F.col("url")).alias("host"), "html")
-    sums = keyed.mapInArrow(work, "host string, token long, x long, y long, pages long").groupBy("host", "token").agg(F.sum("x").alias("x"), F.sum("y").alias("y"), F.sum("pages").alias("pages"))
-    sums = written(sums.where("pages >= 2"), "tokens")  # a token of one page cannot be half of three or more
-    whole = sums.where(f"token = 0 and pages >= {PAGES}").select("host", F.col("pages").alias("of"))
-    often = sums.where("token <> 0").join(whole, "host").where(f"pages >= if(token & 1 = 1, 1, {SUPPORT}) * of")
-    classes = often.groupBy("host", "x", "y").agg(F.collect_list("token").alias("tokens"), F.count("*").alias("n")).where(f"n >= {CLASS}")
-    return classes.groupBy("host").agg(F.flatten(F.collect_list("tokens")).alias("tokens"))
+            texts = batch.column(2).to_pylist()
+            for a, b in runs((len(x or "") for x in texts), BATCH_CHARS):
+                roles = [Page(x or "").roles for x in texts[a:b]]
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), batch.column(1).slice(a, b - a), pa.array(roles, pa.list_(pa.int64()))], names=["host", "key", "roles"])
+
+    keyed = pages.select(host(F.col("url")).alias("host"), F.xxhash64("page_id", "url", "html").alias("key"), "html")
+    return rounds(written(keyed.mapInArrow(work, "host string, key long, roles array<long>"), "tokens"))
 
 
 def main_texts(pages: DataFrame) -> DataFrame:
     """page_id, url, text of every row of pages (page_id, url, html)."""
-    found = written(templates(pages), "templates").withColumnRenamed("host", "_host")
-    few = found.count() <= BROADCAST_HOSTS
-    rows = pages.select("page_id", "url", "html", host(F.col("url")).alias("host")).join(F.broadcast(found) if few else found, F.col("host") == F.col("_host"), "left").select("page_id", "url", "html", "host", "tokens")
+    found = written(templates(pages), "templates")
+    rows = with_host(pages.select("page_id", "url", "html", host(F.col("url")).alias("host")), found, "left").select("page_id", "url", "html", "host", "rounds")
     schema = T.StructType([pages.schema["page_id"], pages.schema["url"], T.StructField("text", T.StringType(), False)])
 
     @releasing
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            known: dict[str, frozenset[int]] = {}  # of this batch
+            known: dict[str, tuple] = {}  # of this batch
             sizes = [len(x or "") for x in batch.column(2).to_pylist()]
             for a, b in runs(sizes, BATCH_CHARS):
                 part = batch.slice(a, b - a)
                 texts = []
                 for k, (html, name) in enumerate(zip(part.column(2).to_pylist(), part.column(3).to_pylist(), strict=True)):
                     if name not in known:
-                        known[name] = frozenset(part.column(4)[k].as_py() or ())
-                    texts.append(Page(html or "").main_text(known[name]))
+                        known[name] = prepared([(r["classes"], r["spare"]) for r in part.column(4)[k].as_py() or ()])
+                    page = Page(html or "")
+                    texts.append(page.main_text(template(page.roles, *known[name])))
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(texts, pa.string())], names=["page_id", "url", "text"])
 
     return rows.mapInArrow(work, schema)
