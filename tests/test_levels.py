@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from rankjoin import queries, workloads
 from rankjoin.functions import ranking as rk
-from rankjoin.operators import cyclic, engine, levels
+from rankjoin.operators import cyclic, engine, levels, ranges
 from rankjoin.plans import query as cq
 from rankjoin.sources import graphs
 
@@ -105,3 +105,38 @@ def test_bound_of_crowded_weights(spark):
             bound, n = levels._bound(s, df, 7, (0, sign * 2 * 10**12), None)
             assert 7 <= n <= 14 and n == sum(w <= abs(bound) for w in weights)
             assert levels._bound(s, df, 5000, (0, sign * 2 * 10**12), None) == (None, 1001)
+
+
+def _only_ranges(monkeypatch):
+    _no_task(monkeypatch)
+    monkeypatch.setattr(ranges, "GAIN", 0)
+    monkeypatch.setattr(ranges, "CHUNK", 400)
+    monkeypatch.setattr(levels, "numbered", lambda *a, **b: pytest.fail("answers are shuffled"))
+
+
+def test_many_more_answers_than_rows_are_not_shuffled(spark, sf, monkeypatch):
+    """W26, whose answers of a nation are its customers times its suppliers."""
+    want = [tuple(r) for r in queries.QUERIES["W26"](spark, sf).orderBy("rank").collect()]
+    _only_ranges(monkeypatch)
+    monkeypatch.setattr(ranges, "CHUNK", 20)
+    out = queries.QUERIES["W26"](spark, sf)
+    assert "Exchange hash" not in out._jdf.queryExecution().toString() and "Exchange range" not in out._jdf.queryExecution().toString()
+    assert [tuple(r) for r in out.orderBy("rank").collect()] == want and len(want) > 0
+    ranks = out.select("rank").rdd.map(lambda r: r.rank).glom().collect()
+    assert [r for p in ranks for r in p] == list(range(1, len(want) + 1)) and len(ranks) > 1
+
+
+@pytest.mark.parametrize("ranking", [rk.SUM, rk.SUM_DESC], ids=lambda r: r.name)
+def test_ranges_with_ties_repeats_and_no_key(spark, monkeypatch, ranking):
+    """Equal weights, rows given twice, weights below zero or far apart, two keys, and a product."""
+    _only_ranges(monkeypatch)
+    few = graphs.uniform(spark, 2, 90, 12).withColumn("w", F.col("w") % 3 - 1)
+    twice = few.union(few.limit(20)).union(few.limit(9).withColumn("w", F.col("w") - 10**13)).persist()
+    wide = twice.select((F.col("a") % 3).alias("a"), (F.col("b") % 2).alias("b"), F.col("a").alias("c"), "w")
+    for q, rels in (
+        (cq.path(2), {"E": twice}), (cq.star(3), {"E": few.limit(60)}), (cq.branch(3), {"E": few}), (cq.product(2), {"R0": few.select("a", "w").limit(20), "R1": twice.select("b", "w")}),
+        (cq.parse("Q(*) :- R(x, y, z), S(x, y, u)"), {"R": wide, "S": wide}),
+    ):
+        rels = {n: f.persist() for n, f in rels.items()}
+        want = [tuple(r) for r in engine.run(q, rels, None, ranking=ranking, method="join_first").orderBy("rank").collect()]
+        assert [tuple(r) for r in engine.run(q, rels, None, ranking=ranking).orderBy("rank").collect()] == want and len(want) > 400
