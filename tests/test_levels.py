@@ -140,3 +140,10 @@ def test_ranges_with_ties_repeats_and_no_key(spark, monkeypatch, ranking):
         rels = {n: f.persist() for n, f in rels.items()}
         want = [tuple(r) for r in engine.run(q, rels, None, ranking=ranking, method="join_first").orderBy("rank").collect()]
         assert [tuple(r) for r in engine.run(q, rels, None, ranking=ranking).orderBy("rank").collect()] == want and len(want) > 400
+
+
+def test_star_of_all_events_has_three_arms(spark, sf):
+    """W28: every three edges of a user, repeats included."""
+    out, degrees = queries.QUERIES["W28"](spark, sf), graphs.event(spark, sf).where("b is not null").groupBy("a").count()
+    assert out.columns == ["c", "x0", "x1", "x2", "w", "rank"]
+    assert out.count() == degrees.agg(F.sum(F.expr("count * count * count"))).first()[0]
