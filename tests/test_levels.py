@@ -147,3 +147,35 @@ def test_star_of_all_events_has_three_arms(spark, sf):
     out, degrees = queries.QUERIES["W28"](spark, sf), graphs.event(spark, sf).where("b is not null").groupBy("a").count()
     assert out.columns == ["c", "x0", "x1", "x2", "w", "rank"]
     assert out.count() == degrees.agg(F.sum(F.expr("count * count * count"))).first()[0]
+
+
+def test_closed_walks_of_both_graphs(spark, sf):
+    """W49: three, four and six hops of the basket graph, and part to supplier to part to supplier and back, against SQL."""
+    con = duckdb.connect()
+    con.execute(f"create view lineitem as select * from '{sf}/lineitem.parquet'")
+    for name in ("basket", "ps"):
+        con.execute(f"create table {name} as {graphs.SQL[name]}")
+    con.execute("create table two as select s.a, t.b, s.w + t.w as w from basket s join basket t on s.b = t.a")
+    con.execute("create table three as select s.a, t.b, s.w + t.w as w from two s join basket t on s.b = t.a")
+    con.execute("create table fro as select s.a, t.a as b, s.w + t.w as w from ps s join ps t on s.b = t.b")
+    want = {
+        (n, graph): con.execute(f"select (s.w + t.w)::bigint from {one} s join {other} t on s.b = t.a and s.a = t.b order by 1 limit 100").fetchall()
+        for n, graph, one, other in ((3, "basket", "two", "basket"), (4, "basket", "two", "two"), (6, "basket", "three", "three"), (4, "ps", "fro", "fro"))
+    }
+    got = {}
+    for r in queries.QUERIES["W49"](spark, sf).orderBy("rank").collect():
+        got.setdefault((r.atoms, r.graph), []).append((r.w,))
+    assert got == want
+
+
+def test_long_cycles_split_and_whole(spark, monkeypatch):
+    """Six atoms, and two relations in turn: with heavy values, with none, and with rows beyond the bound gone first."""
+    e = graphs.uniform(spark, 5, 60, 8).union(graphs.uniform(spark, 6, 9, 30).select((F.col("a") * 0 + 3).alias("a"), F.col("b"), "w")).persist()
+    back = e.select("b", "a", "w")
+    for q, small in ((cq.cycle(6), 1), (cq.cycle(5), 10**9), (cq.alternating_cycle(4), 10**9)):
+        frames = cq.bind(q, {"E": e, "B": back})
+        every = cyclic.bag(frames, rk.SUM)
+        want = [(*r[:-1], r._w) for r in every.select(*q.variables, "_w").orderBy("_w", *q.variables).limit(40).collect()]
+        assert len(want) == 40
+        monkeypatch.setattr(cyclic, "SMALL", small)
+        assert [tuple(r)[:-1] for r in cyclic.run(q, {"E": e, "B": back}, 40).orderBy("rank").collect()] == want
